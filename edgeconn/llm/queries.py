@@ -5,16 +5,31 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from edgeconn.llm.common import table
+from edgeconn.llm import pieces, toxicity
+from edgeconn.llm.common import held_out, table
 from edgeconn.llm.simhash import SimHash, near_duplicates
 
 
+def op3_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Toxicity score of every document, learnt outside the held-out fold."""
+    docs = table(spark, sf_dir, "documents")
+    model = toxicity.train(docs, table(spark, sf_dir, "labels"))
+    out = toxicity.score(docs, model).withColumnRenamed("id", "doc_id")
+    return out.select("doc_id", held_out(F.col("doc_id"), 5).alias("held_out"), "score", (F.col("score") >= 0.5).cast("int").alias("predicted"))
+
+
 def op8_simhash_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Component of every document at 3 or fewer differing SimHash bits."""
     out = near_duplicates(table(spark, sf_dir, "documents"), SimHash())
     return out.select(F.col("id").alias("doc_id"), F.lower(F.hex("fp")).alias("fingerprint"), F.col("component").alias("component_id"))
 
 
+def op10_sentencepiece(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Ids and decoded text of every document, as digests."""
+    out = pieces.encode_decode(table(spark, sf_dir, "documents"), outputs=("ids_sha256", "decoded_sha256"))
+    return out.withColumnRenamed("id", "doc_id")
+
+
 def queries() -> dict:
     found = {k: v for k, v in globals().items() if k.startswith("op") and callable(v)}
     return dict(sorted(found.items(), key=lambda kv: int(kv[0][2:].split("_")[0])))
