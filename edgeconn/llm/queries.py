@@ -5,9 +5,36 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from edgeconn.llm import pieces, toxicity
-from edgeconn.llm.common import held_out, table
+from edgeconn.llm import chat, pieces, sharding, tokencounts, toxicity
+from edgeconn.llm.common import held_out, table, text_or_empty
 from edgeconn.llm.simhash import SimHash, near_duplicates
+from edgeconn.plans.staging import new_path, stage
+
+
+def op1_chat_perspectives(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Every conversation rendered from each participant's seat, by pieces."""
+    return chat.perspectives(table(spark, sf_dir, "conversations"))
+
+
+def op2_token_rollup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Totals after three batches: all documents counted, later copies of a
+    text deleted, what is left counted anew by the next tokenizer version. The
+    first and last batch are delivered twice."""
+    docs = table(spark, sf_dir, "documents").select("doc_id", "source", "lang", text_or_empty("text").alias("text"))
+    counted = docs.select("doc_id", "source", "lang", F.xxhash64("text").alias("h1"), F.md5("text").alias("h2"), tokencounts.words(F.col("text")).alias("v1"), tokencounts.words_and_marks(F.col("text")).alias("v2"))
+    counted = stage(counted, "token-counts").df
+    first = counted.groupBy("h1", "h2").agg(F.min("doc_id").alias("first"))
+    marked = stage(counted.join(first, ["h1", "h2"]).select("source", "lang", "v1", "v2", (F.col("doc_id") > F.col("first")).alias("copy")), "token-copies").df
+    store = tokencounts.RollupStore(spark, new_path(spark, "token-store"))
+    v1, v2 = F.col("v1"), F.col("v2")
+    batches = {
+        "1-insert": tokencounts.insert(marked, "words-1", v1),
+        "2-delete": tokencounts.delete(marked.filter("copy"), "words-1", v1),
+        "3-revise": tokencounts.revise(marked.filter("not copy"), ("words-1", v1), ("words-2", v2)),
+    }
+    for name in ("1-insert", "2-delete", "1-insert", "3-revise", "3-revise"):
+        store.commit(name, batches[name])
+    return store.totals()
 
 
 def op3_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -18,6 +45,12 @@ def op3_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     return out.select("doc_id", held_out(F.col("doc_id"), 5).alias("held_out"), "score", (F.col("score") >= 0.5).cast("int").alias("predicted"))
 
 
+def op6_hilbert_shards(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """All documents in 24 shards of equal row counts along the curve."""
+    out = sharding.shard(table(spark, sf_dir, "documents"), 24)
+    return out.select(F.col("id").alias("doc_id"), "size", "text_crc32", F.lit("rows").alias("law"), "shard", "slot", F.lit(None).cast("int").alias("grown_shard"), "curve")
+
+
 def op8_simhash_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Component of every document at 3 or fewer differing SimHash bits."""
     out = near_duplicates(table(spark, sf_dir, "documents"), SimHash())
@@ -36,4 +69,4 @@ def queries() -> dict:
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    return {"op1_chat_perspectives": chat.ORACLE_SQL, "op2_token_rollup": tokencounts.ORACLE_SQL}
