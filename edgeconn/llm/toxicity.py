@@ -28,15 +28,17 @@ class Settings:
     """per_class: labelled texts of each class that a fit reads at most (the
     bound of the training sample). window: bytes. lengths: of segments.
     segments: per length. significance: least z value of a segment. part:
-    bytes of a dictionary's own part and of its common part."""
+    bytes of a dictionary's own part and of its common part. miss_cost: what a
+    missed toxic text weighs against a false alarm; shifts the calibration."""
 
-    per_class: int = 2000
+    per_class: int = 1500
     window: int = 64
     lengths: tuple[int, ...] = (5, 7, 9, 12)
-    segments: int = 250
-    significance: float = 4.5
+    segments: int = 200
+    significance: float = 6.0
     part: int = 6000
-    level: int = 3
+    level: int = 5
+    miss_cost: float = 2.0
 
 
 @dataclass(frozen=True)
@@ -67,15 +69,40 @@ def _grams(b: bytes, n: int):
     return h
 
 
+def _sum_by_key(keys, *cols):
+    import numpy as np
+
+    u, at = np.unique(keys, return_inverse=True)
+    return [u, *(np.bincount(at, c, len(u)).astype(np.float32) for c in cols)]
+
+
 def _usage(texts: list[bytes], n: int, most: int = 4):
     """Per segment of n bytes: sum and sum of squares of its count in a text."""
     import numpy as np
 
-    parts = [np.unique(_grams(b, n), return_counts=True) for b in texts]
-    h = np.concatenate([u for u, _ in parts])
-    k = np.concatenate([np.minimum(c, most) for _, c in parts]).astype(float)
-    keys, at = np.unique(h, return_inverse=True)
-    return keys, np.bincount(at, k, len(keys)), np.bincount(at, k * k, len(keys))
+    held = [np.zeros(0, np.uint64), np.zeros(0, np.float32), np.zeros(0, np.float32)]
+    for i in range(0, len(texts), 100):
+        parts = [np.unique(_grams(b, n), return_counts=True) for b in texts[i : i + 100]]
+        k = np.concatenate([np.minimum(c, most) for _, c in parts]).astype(np.float32)
+        new = _sum_by_key(np.concatenate([u for u, _ in parts]), k, k * k)
+        held = _sum_by_key(*(np.concatenate(x) for x in zip(held, new, strict=True)))
+    return held
+
+
+def _usage_of(keys, texts: list[bytes], n: int, most: int = 4):
+    """The same for given sorted keys alone."""
+    import numpy as np
+
+    s, q = np.zeros(len(keys)), np.zeros(len(keys))
+    for b in texts:
+        u, c = np.unique(_grams(b, n), return_counts=True)
+        at = np.searchsorted(keys, u)
+        at[at == len(keys)] = 0
+        hit = keys[at] == u
+        k = np.minimum(c[hit], most)
+        s[at[hit]] += k
+        q[at[hit]] += k * k
+    return s, q
 
 
 def _typical(of: list[bytes], against: list[bytes], s: Settings) -> list[bytes]:
@@ -85,16 +112,15 @@ def _typical(of: list[bytes], against: list[bytes], s: Settings) -> list[bytes]:
     found: dict[bytes, float] = {}
     for n in s.lengths:
         ka, sa, qa = _usage(of, n)
-        kb, sb, qb = _usage(against, n)
-        if not len(ka) or not len(kb):
+        often = sa >= 5
+        ka, sa, qa = ka[often], sa[often].astype(float), qa[often].astype(float)
+        if not len(ka) or not against:
             continue
-        at = np.searchsorted(kb, ka)
-        at[at == len(kb)] = 0
-        same = kb[at] == ka
-        ma, mb = sa / len(of), np.where(same, sb[at], 0) / len(against)
-        va, vb = qa / len(of) - ma**2, np.where(same, qb[at], 0) / len(against) - mb**2
+        sb, qb = _usage_of(ka, against, n)
+        ma, mb = sa / len(of), sb / len(against)
+        va, vb = qa / len(of) - ma**2, qb / len(against) - mb**2
         z = (ma - mb) / np.sqrt(va / len(of) + np.maximum(vb, 1 / len(against)) / len(against) + 1e-9)
-        z[(ma < 2 * mb) | (sa < 5)] = 0
+        z[ma < 2 * mb] = 0
         best = np.argsort(-z, kind="stable")[: s.segments]
         best = best[z[best] > s.significance]
         want = dict(zip(ka[best].tolist(), z[best].tolist(), strict=True))
@@ -196,7 +222,7 @@ def fit(toxic: list[str], ordinary: list[str], rate: float | None = None, s: Set
     y = np.array([1] * (n1 - len(t_in)) + [0] * (n0 - len(o_in)), float)
     w, mean, scale = _calibrate(x, y)
     sampled, rate = y.mean(), min(max(rate, 1e-4), 1 - 1e-4)
-    w[-1] += float(np.log(rate / (1 - rate)) - np.log(sampled / (1 - sampled)))
+    w[-1] += float(np.log(rate / (1 - rate)) - np.log(sampled / (1 - sampled)) + np.log(s.miss_cost))
     return Model(m.toxic, m.ordinary, s.window, s.level, w, mean, scale, rate)
 
 
