@@ -26,6 +26,25 @@ def held_out(doc_id: Column, folds: int) -> Column:
     return F.crc32(doc_id.cast("string").cast("binary")) % folds == 0
 
 
+def schema_of(df: DataFrame) -> str:
+    return ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in df.schema.fields)
+
+
+def keep_rows(docs: DataFrame, make, text: str = "text", limit: int = BLOCK_BYTES) -> DataFrame:
+    """Rows of ``docs``, all columns, that pass a test of their whole texts.
+
+    ``make()`` runs once per task and gives a function from a list of texts
+    (nulls as empty) to a list of booleans. Nothing is shuffled.
+    """
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        test = make()
+        for b in blocks(batches, text, limit):
+            yield b.filter(pa.array(test([t or "" for t in b.column(text).to_pylist()]), pa.bool_()))
+
+    return docs.mapInArrow(run, schema_of(docs))
+
+
 def blocks(batches: Iterator[pa.RecordBatch], text: str = "text", limit: int = BLOCK_BYTES) -> Iterator[pa.RecordBatch]:
     """Cut record batches into slices of about ``limit`` bytes of text each.
 

@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from edgeconn.llm import chat, pieces, sharding, tokencounts, toxicity
+from edgeconn.llm import chat, decontaminate, fingerprint, lm, pieces, pii, sharding, tokencounts, toxicity
 from edgeconn.llm.common import held_out, table, text_or_empty
 from edgeconn.llm.simhash import SimHash, near_duplicates
 from edgeconn.plans.staging import new_path, stage
@@ -45,18 +45,43 @@ def op3_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     return out.select("doc_id", held_out(F.col("doc_id"), 5).alias("held_out"), "score", (F.col("score") >= 0.5).cast("int").alias("predicted"))
 
 
+def op4_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Every probe of a benchmark item found in a document, with its place."""
+    return decontaminate.leaks(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark")).withColumnsRenamed({"id": "doc_id", "item": "item_id"})
+
+
+def op5_syncmer_fingerprints(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Fingerprint of every document and of its text with the next one's start
+    put over its end, and how alike they are."""
+    return fingerprint.edited_neighbours(table(spark, sf_dir, "documents")).withColumnRenamed("id", "doc_id")
+
+
 def op6_hilbert_shards(spark: SparkSession, sf_dir: str) -> DataFrame:
     """All documents in 24 shards of equal row counts along the curve."""
     out = sharding.shard(table(spark, sf_dir, "documents"), 24)
     return out.select(F.col("id").alias("doc_id"), "size", "text_crc32", F.lit("rows").alias("law"), "shard", "slot", F.lit(None).cast("int").alias("grown_shard"), "curve")
 
 
+def op7_brown_lm(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """log10 probability of every document under the class-based model, learnt
+    outside the held-out tenth."""
+    docs = table(spark, sf_dir, "documents").select("doc_id", "text").withColumn("held_out", F.coalesce(held_out(F.col("doc_id"), 10), F.lit(False)))
+    model = lm.train(docs.filter(~F.col("held_out")).select("text"))
+    return lm.score(docs.select("doc_id", "held_out", "text"), model, ["doc_id", "held_out"])
+
+
 def op8_simhash_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Component of every document at 3 or fewer differing SimHash bits."""
     out = near_duplicates(table(spark, sf_dir, "documents"), SimHash())
     return out.select(F.col("id").alias("doc_id"), F.lower(F.hex("fp")).alias("fingerprint"), F.col("component").alias("component_id"))
 
 
+def op9_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Every document with its validated numbers, dates and addresses replaced."""
+    out = pii.pseudonymise(table(spark, sf_dir, "documents").select("doc_id", "text"), "text", pii.Settings())
+    return out.select("doc_id", "n_replaced", "kinds", "text")
+
+
 def op10_sentencepiece(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Ids and decoded text of every document, as digests."""
     out = pieces.encode_decode(table(spark, sf_dir, "documents"), outputs=("ids_sha256", "decoded_sha256"))

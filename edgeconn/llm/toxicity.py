@@ -20,7 +20,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from edgeconn.llm.common import blocks, held_out, text_or_empty
+from edgeconn.llm.common import blocks, held_out, keep_rows, text_or_empty
 
 
 @dataclass(frozen=True)
@@ -257,3 +257,14 @@ def score(docs: DataFrame, model: Model, id_col: str = "doc_id", text_col: str =
             yield pa.RecordBatch.from_arrays([b.column("id"), pa.array(probabilities(m, x))], ["id", "score"])
 
     return docs.select(F.col(id_col).alias("id"), text_or_empty(text_col).alias("text")).mapInArrow(run, f"id {kind}, score double")
+
+
+def without_toxic(docs: DataFrame, model: Model, threshold: float = 0.5) -> DataFrame:
+    """Rows of ``docs``, all columns, whose score stays under the threshold."""
+    sent = docs.sparkSession.sparkContext.broadcast(model)
+
+    def make():
+        m = sent.value
+        return lambda texts: (probabilities(m, features(m, [fold(t) for t in texts]) if m.weights else [0] * len(texts)) < threshold).tolist()
+
+    return keep_rows(docs, make)
