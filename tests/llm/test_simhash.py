@@ -77,7 +77,7 @@ def test_edges_of_the_input(spark):
 def test_wide_fingerprints_find_edited_copies(spark):
     rng = random.Random(3)
     words = [f"w{i}" for i in range(4000)]
-    rows, p = [], S.SimHash(bits=192, segments=8, max_bits=28, words=5, distinct=True)
+    rows, p = [], S.NEAR_COPIES
     for g in range(60):
         t = [rng.choice(words) for _ in range(300)]
         rows.append((2 * g, " ".join(t)))
