@@ -67,3 +67,70 @@ def star_components(edges: DataFrame, src: str = "src", dst: str = "dst", by: li
 def label_or_self(v: Column, comp: Column) -> Column:
     """Component of a vertex that may have no edge."""
     return F.coalesce(comp, v)
+
+
+def local_labels(a, b):
+    """(vertices, labels): least reachable vertex of every end of the pairs,
+    by repeated minimum and pointer jumping on arrays."""
+    import numpy as np
+
+    v, at = np.unique(np.concatenate([a, b]), return_inverse=True)
+    x, y = at[: len(a)], at[len(a) :]
+    label = np.arange(len(v))
+    while True:
+        low = np.minimum(label[x], label[y])
+        new = label.copy()
+        np.minimum.at(new, label[x], low)
+        np.minimum.at(new, label[y], low)
+        while True:
+            jump = new[new]
+            if (jump == new).all():
+                break
+            new = jump
+        if (new == label).all():
+            return v, v[label]
+        label = new
+
+
+def components(edges: DataFrame, by: tuple[str, ...] = ("rep",), strategy: str = "auto", src: str = "src", dst: str = "dst", task_rows: int = 20_000_000, seed: int = 1, rate: float = 0.25) -> DataFrame:
+    """(*by, v, comp): least vertex reachable, for every vertex with an edge.
+
+    ``local``: one task per value of ``by``; for pairs that fit a task.
+    ``star``: star contractions across the cluster. ``sampled``: components of
+    a share ``rate`` of the edges, then of those edges alone that cross them.
+    ``auto``: local while the pairs of the largest group number under
+    ``task_rows`` (counted), star beyond.
+    """
+    if strategy == "auto":
+        most = edges.groupBy(*by).count().agg(F.max("count")).first()[0] or 0
+        strategy = "local" if most <= task_rows else "star"
+    kind = edges.schema[src].dataType.simpleString()
+    if strategy == "local":
+        keys = ", ".join(f"{c} {edges.schema[c].dataType.simpleString()}" for c in by)
+        narrow = edges.select(*by, F.col(src).alias("a"), F.col(dst).alias("b"))
+
+        def run(key, pdf):
+            import pandas as pd
+
+            v, comp = local_labels(pdf["a"].to_numpy(), pdf["b"].to_numpy())
+            return pd.DataFrame({**dict(zip(by, key, strict=True)), "v": v, "comp": comp})
+
+        return narrow.groupBy(*by).applyInPandas(run, f"{keys}, v {kind}, comp {kind}")
+    if strategy == "star":
+        return star_components(edges, src, dst, list(by))
+    if strategy == "sampled":
+        part = edges.filter(F.pmod(F.xxhash64(F.lit(seed), *by, src, dst), F.lit(1 << 20)) < int(rate * (1 << 20)))
+        first = stage(star_components(part, src, dst, list(by)), "sampled").df
+        a = first.withColumnsRenamed({"v": src, "comp": "ca"})
+        b = first.withColumnsRenamed({"v": dst, "comp": "cb"})
+        raised = edges.join(a, [*by, src], "left").join(b, [*by, dst], "left").select(*by, F.coalesce("ca", src).alias("a"), F.coalesce("cb", dst).alias("b"))
+        rest = star_components(raised.filter("a <> b").distinct(), "a", "b", list(by)).select(*by, F.col("v").alias("comp"), F.col("comp").alias("top"))
+        whole = edges.select(*by, F.explode(F.array(src, dst)).alias("v")).distinct().join(first, [*by, "v"], "left").select(*by, "v", F.coalesce("comp", "v").alias("comp"))
+        return whole.join(rest, [*by, "comp"], "left").select(*by, "v", F.coalesce("top", "comp").alias("comp"))
+    raise ValueError(f"no such strategy: {strategy}")
+
+
+def with_singletons(labels: DataFrame, vertices: DataFrame, reps: int) -> DataFrame:
+    """Labels of every vertex in every repetition; alone where it has no edge."""
+    grid = vertices.withColumn("rep", F.explode(F.sequence(F.lit(0), F.lit(reps - 1))))
+    return grid.join(labels, ["rep", "v"], "left").select("rep", "v", F.coalesce("comp", "v").alias("comp"))
