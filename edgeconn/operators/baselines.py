@@ -113,7 +113,7 @@ def baseline_estimate(g: Graph, eps: float = 0.5) -> DataFrame:
         w, _ = S.dense(list(zip(pdf["cu"], pdf["cv"], pdf["mult"], strict=True)))
         return pd.DataFrame({"value": [S.approx_connectivity(w, eps)]})
 
-    return collapse(whole_kernel(g)).groupBy(F.lit(0)).applyInPandas(run, "value double").withColumn("fidelity", F.lit(FULL))
+    return collapse(whole_kernel(g)).groupBy().applyInPandas(run, "value double").withColumn("fidelity", F.lit(FULL))
 
 
 def baseline_diffusion(g: Graph, seeds: int = 8, steps: int = 20) -> DataFrame:
@@ -139,7 +139,7 @@ def baseline_diffusion(g: Graph, seeds: int = 8, steps: int = 20) -> DataFrame:
                 best = min(best, float(cut[:-1].min()))
         return pd.DataFrame({"value": [best]})
 
-    return collapse(whole_kernel(g)).groupBy(F.lit(0)).applyInPandas(run, "value double").withColumn("fidelity", F.lit(STAND_IN))
+    return collapse(whole_kernel(g)).groupBy().applyInPandas(run, "value double").withColumn("fidelity", F.lit(STAND_IN))
 
 
 def baseline_flow(g: Graph) -> DataFrame:

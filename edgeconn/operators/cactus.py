@@ -142,7 +142,7 @@ def min_cut_cactus(g: Graph, labels: DataFrame, kernel_w: DataFrame) -> tuple[Da
     spark = g.vertices.sparkSession
     from edgeconn.plans.staging import stage
 
-    made = stage(kernel_w.groupBy(F.lit(0)).applyInPandas(run, "node int, comp long, a int, b int, cycle_id int, mult int, value double"), "cactus").df
+    made = stage(kernel_w.groupBy().applyInPandas(run, "node int, comp long, a int, b int, cycle_id int, mult int, value double"), "cactus").df
     value = made.agg(F.min("value")).first()[0]
     edges = made.filter("a IS NOT NULL").select("a", "b", "cycle_id", "mult")
     if value is None:  # every minimum cut is one vertex
@@ -178,4 +178,4 @@ def small_cut_sides(kernel_w: DataFrame, bound: float, seed: int = 1) -> DataFra
         value = [float(w[s][:, ~s].sum()) for s in sides]
         return pd.DataFrame({"cut": range(len(sides)), "value": value, "side": [[int(x) for x in np.array(names)[s]] for s in sides]})
 
-    return kernel_w.groupBy(F.lit(0)).applyInPandas(run, "cut int, value double, side array<long>")
+    return kernel_w.groupBy().applyInPandas(run, "cut int, value double, side array<long>")

@@ -15,12 +15,13 @@ PACK = 1 << 31
 def canonical_edges(raw: DataFrame, a: str = "a", b: str = "b") -> DataFrame:
     """(eid, src, dst) with src < dst: loops, nulls and repeats are gone.
 
-    Ids are longs of 0..2**31-1 and the edge id packs both ends; use
-    ``encode_vertices`` first where ids are texts, negative or larger.
+    The edge id packs both ends where ids are in 0..2**31-1 and is a 64-bit
+    hash of them elsewhere; ``encode_vertices`` gives dense ids, also to texts.
     """
     ends = raw.select(F.col(a).cast("long").alias("a"), F.col(b).cast("long").alias("b")).filter("a <> b")
     pairs = ends.select(F.least("a", "b").alias("src"), F.greatest("a", "b").alias("dst")).distinct()
-    return pairs.select((F.col("src") * F.lit(PACK * 2) + F.col("dst")).alias("eid"), "src", "dst")
+    packed = F.when((F.col("src") >= 0) & (F.col("dst") < PACK), F.col("src") * F.lit(PACK) + F.col("dst")).otherwise(F.xxhash64("src", "dst"))
+    return pairs.select(packed.alias("eid"), "src", "dst")
 
 
 def encode_vertices(raw: DataFrame, a: str = "a", b: str = "b") -> tuple[DataFrame, DataFrame]:
@@ -37,9 +38,9 @@ def encode_vertices(raw: DataFrame, a: str = "a", b: str = "b") -> tuple[DataFra
     base = sizes.select("part", (F.sum("count").over(Window.orderBy("part")) - F.col("count")).alias("base"))  # a row per range
     no = F.row_number().over(Window.partitionBy("part").orderBy("name")) - 1
     dictionary = held.join(F.broadcast(base), "part").select((F.col("base") + no).alias("v"), "name")
-    left = dictionary.withColumnsRenamed({"v": "va", "name": "na"})
-    right = dictionary.withColumnsRenamed({"v": "vb", "name": "nb"})
-    pairs = raw.join(left, F.col(a).cast("string") == left.na).join(right, F.col(b).cast("string") == right.nb)
+    left = dictionary.withColumnsRenamed({"v": "va", "name": "name_a"})
+    right = dictionary.withColumnsRenamed({"v": "vb", "name": "name_b"})
+    pairs = raw.join(left, F.col(a).cast("string") == F.col("name_a")).join(right, F.col(b).cast("string") == F.col("name_b"))
     return pairs.select(F.col("va").alias("a"), F.col("vb").alias("b")), dictionary
 
 
