@@ -74,7 +74,8 @@ def build_cactus(w, names: list, value: float) -> Cactus:
             rest.remove(step)
         cycles.append(order[1:])
         family |= set(order[1:])
-    on_cycle = set(family)
+    # A single group against the rest is two edges of its cycle already.
+    on_cycle = family | {frozenset().union(*ring) for ring in cycles}
     trees = [g[0] for g in members.values() if len(g) == 1 and g[0] not in on_cycle]
     family |= set(trees)
     sets = sorted(family, key=lambda c: (len(c), sorted(c)))
