@@ -82,6 +82,8 @@ class Probes:
         self.s, self.codes, self.item, self.budget = s, [], [], []
         for item, text in items:
             codes, _ = normalise(text or "")
+            if len(codes) and codes[-1] == 32:  # what follows the last word is the document's
+                codes = codes[:-1]
             if len(codes) < s.q:
                 continue
             last = max(0, len(codes) - s.probe)
