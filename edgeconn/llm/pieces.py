@@ -57,13 +57,17 @@ class ChunkTable:
         self.ids: dict[str, list[int]] = {}
         self.joined: dict[str, str] = {}
         self.decoded: dict[str, str] = {}
+        self.packed: dict[str, bytes] = {}
+        self.code = "H" if self.sp.vocab_size() <= 1 << 16 else "I"
 
     def chunks(self, text: str) -> list[str]:
         return self.cut(" " + text.replace(MARK, " ")) if text else []
 
     def learn(self, chunks: set[str]) -> None:
+        from struct import pack
+
         if len(self.ids) > TABLE:
-            for t in (self.ids, self.joined, self.decoded):
+            for t in (self.ids, self.joined, self.decoded, self.packed):
                 t.clear()
         new = [c for c in chunks if c not in self.ids]
         found = self.sp.encode([c[1:] if len(c) > 1 else "" for c in new], num_threads=1) if new else []
@@ -72,6 +76,7 @@ class ChunkTable:
                 ids = [self.sp.piece_to_id(MARK)]
             self.ids[c] = ids
             self.joined[c] = ",".join(map(str, ids))
+            self.packed[c] = pack(f"<{len(ids)}{self.code}", *ids)
         for c, text in zip(new, self.sp.decode([self.ids[c] for c in new]) if new else [], strict=True):
             self.decoded[c] = " " + text
 
@@ -86,11 +91,13 @@ def encode_decode(docs: DataFrame, model_path: str | None = None, outputs: tuple
     """(id, n_tokens long, then the ``outputs`` asked for), one row per row.
 
     outputs: ``ids`` array<int>, ``decoded`` string, ``ids_sha256`` of the
-    decimal ids joined by commas, ``decoded_sha256`` of the decoded UTF-8.
+    decimal ids joined by commas, ``decoded_sha256`` of the decoded UTF-8,
+    ``packed`` binary: the ids as little-endian numbers of two bytes each (four
+    where the vocabulary is over 65,536), which training readers map as they are.
     Null and empty texts have no token and decode to an empty text. Texts are
     read whole; other columns are not read.
     """
-    kinds = {"ids": ("array<int>", pa.list_(pa.int32())), "decoded": ("string", pa.string()), "ids_sha256": ("string", pa.string()), "decoded_sha256": ("string", pa.string())}
+    kinds = {"ids": ("array<int>", pa.list_(pa.int32())), "decoded": ("string", pa.string()), "packed": ("binary", pa.binary()), "ids_sha256": ("string", pa.string()), "decoded_sha256": ("string", pa.string())}
     model = model_bytes(model_path or default_model())
     if not chunkable(model):
         raise ValueError("pieces of this model may cross whitespace markers")
@@ -108,6 +115,7 @@ def encode_decode(docs: DataFrame, model_path: str | None = None, outputs: tuple
             made = {
                 "ids": lambda c: table.encode(c),
                 "decoded": lambda c: table.decode(c),
+                "packed": lambda c: b"".join(map(table.packed.__getitem__, c)),
                 "ids_sha256": lambda c: sha256(",".join(map(table.joined.__getitem__, c)).encode()).hexdigest(),
                 "decoded_sha256": lambda c: sha256(table.decode(c).encode()).hexdigest(),
             }
