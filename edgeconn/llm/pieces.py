@@ -18,7 +18,7 @@ from edgeconn.llm.common import blocks, text_or_empty
 
 MARK = "▁"
 #: Chunks that a worker's table holds before it starts anew; results do not depend on it.
-TABLE = 200_000
+TABLE = 100_000
 
 
 def default_model() -> str:
@@ -45,20 +45,19 @@ def chunkable(model: bytes) -> bool:
 
 
 class ChunkTable:
-    """Ids, their text form and their decoded form of each distinct chunk."""
+    """What each distinct chunk gives to the outputs asked for: its ids, the
+    ids as text or packed, its decoded text. Only those are held."""
 
-    def __init__(self, model: bytes):
+    def __init__(self, model: bytes, parts: tuple[str, ...] = ("ids", "decoded")):
         import re
 
         import sentencepiece
 
         self.sp = sentencepiece.SentencePieceProcessor(model_proto=model)
         self.cut = re.compile(" +[^ ]*").findall
-        self.ids: dict[str, list[int]] = {}
-        self.joined: dict[str, str] = {}
-        self.decoded: dict[str, str] = {}
-        self.packed: dict[str, bytes] = {}
         self.code = "H" if self.sp.vocab_size() <= 1 << 16 else "I"
+        self.size: dict[str, int] = {}
+        self.parts: dict[str, dict] = {p: {} for p in parts}
 
     def chunks(self, text: str) -> list[str]:
         return self.cut(" " + text.replace(MARK, " ")) if text else []
@@ -66,25 +65,36 @@ class ChunkTable:
     def learn(self, chunks: set[str]) -> None:
         from struct import pack
 
-        if len(self.ids) > TABLE:
-            for t in (self.ids, self.joined, self.decoded, self.packed):
+        if len(self.size) > TABLE:
+            for t in (self.size, *self.parts.values()):
                 t.clear()
-        new = [c for c in chunks if c not in self.ids]
-        found = self.sp.encode([c[1:] if len(c) > 1 else "" for c in new], num_threads=1) if new else []
-        for c, ids in zip(new, found, strict=True):
-            if not ids:  # a lone marker at the end of a text
-                ids = [self.sp.piece_to_id(MARK)]
-            self.ids[c] = ids
-            self.joined[c] = ",".join(map(str, ids))
-            self.packed[c] = pack(f"<{len(ids)}{self.code}", *ids)
-        for c, text in zip(new, self.sp.decode([self.ids[c] for c in new]) if new else [], strict=True):
-            self.decoded[c] = " " + text
+        new = [c for c in chunks if c not in self.size]
+        for i in range(0, len(new), 8192):
+            part = new[i : i + 8192]
+            # a lone marker, at the end of a text, is a piece of its own
+            found = [ids or [self.sp.piece_to_id(MARK)] for ids in self.sp.encode([c[1:] for c in part], num_threads=1)]
+            self.size.update(zip(part, map(len, found), strict=True))
+            made = {
+                "ids": lambda found=found: found,
+                "joined": lambda found=found: [",".join(map(str, ids)) for ids in found],
+                "packed": lambda found=found: [pack(f"<{len(ids)}{self.code}", *ids) for ids in found],
+                "decoded": lambda found=found: [" " + t for t in self.sp.decode(found)],
+            }
+            for p, t in self.parts.items():
+                t.update(zip(part, made[p](), strict=True))
+
+    def count(self, chunks: list[str]) -> int:
+        return sum(map(self.size.__getitem__, chunks))
+
+    def each(self, part: str, chunks: list[str]):
+        """The part of every chunk, in order."""
+        return map(self.parts[part].__getitem__, chunks)
 
     def encode(self, chunks: list[str]) -> list[int]:
-        return [i for c in chunks for i in self.ids[c]]
+        return [i for ids in self.each("ids", chunks) for i in ids]
 
     def decode(self, chunks: list[str]) -> str:
-        return "".join(map(self.decoded.__getitem__, chunks))[1:]
+        return "".join(self.each("decoded", chunks))[1:]
 
 
 def encode_decode(docs: DataFrame, model_path: str | None = None, outputs: tuple[str, ...] = ("ids", "decoded"), id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -107,19 +117,19 @@ def encode_decode(docs: DataFrame, model_path: str | None = None, outputs: tuple
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         from hashlib import sha256
 
-        table = ChunkTable(sent.value)
-        for b in blocks(batches, "text", 4 << 20):
+        needs = {"ids": "ids", "decoded": "decoded", "packed": "packed", "ids_sha256": "joined", "decoded_sha256": "decoded"}
+        table = ChunkTable(sent.value, tuple({needs[o]: None for o in outputs}))
+        made = {
+            "ids": table.encode,
+            "decoded": table.decode,
+            "packed": lambda c: b"".join(table.each("packed", c)),
+            "ids_sha256": lambda c: sha256(",".join(table.each("joined", c)).encode()).hexdigest(),
+            "decoded_sha256": lambda c: sha256(table.decode(c).encode()).hexdigest(),
+        }
+        for b in blocks(batches, "text", 2 << 20):
             texts = [table.chunks(t) for t in b.column("text").to_pylist()]
             table.learn(set().union(*texts))
-            size = {c: len(table.ids[c]) for c in set().union(*texts)}
-            made = {
-                "ids": lambda c: table.encode(c),
-                "decoded": lambda c: table.decode(c),
-                "packed": lambda c: b"".join(map(table.packed.__getitem__, c)),
-                "ids_sha256": lambda c: sha256(",".join(map(table.joined.__getitem__, c)).encode()).hexdigest(),
-                "decoded_sha256": lambda c: sha256(table.decode(c).encode()).hexdigest(),
-            }
-            cols = [b.column("id"), pa.array([sum(map(size.__getitem__, c)) for c in texts], pa.int64())]
+            cols = [b.column("id"), pa.array(list(map(table.count, texts)), pa.int64())]
             cols += [pa.array([made[o](c) for c in texts], kinds[o][1]) for o in outputs]
             yield pa.RecordBatch.from_arrays(cols, ["id", "n_tokens", *outputs])
 
