@@ -7,8 +7,8 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from edgeconn import oracles as O
-from edgeconn.operators.contract import fused_labels, widen
-from edgeconn.operators.graph import Graph
+from edgeconn.operators.contract import edge_votes, fused_labels, inter_component_edges, widen
+from edgeconn.operators.graph import Graph, canonical_edges
 from edgeconn.operators.sample import edge_sample, k_out_draws
 from edgeconn.plans.staging import new_path, stage
 from edgeconn.sources.tables import table
@@ -272,6 +272,29 @@ def except_(s, d):
     return ring(s, d).edges.select("src", "dst").subtract(taken(s, d))
 
 
+KEPT = f"{RING_LABELS}, {O.wide(2)}"
+
+
+@query("setop_except_low_votes", f"{KEPT} SELECT src, dst FROM e EXCEPT SELECT src, dst FROM votes WHERE n_preserved >= 2")
+def except_low(s, d):
+    """Edges that are not kept by both of two repetitions."""
+    g = ring(s, d)
+    votes = edge_votes(inter_component_edges(g.edges, widen(fused_labels(g, 2, 2, O.SEED))))
+    return g.edges.select("src", "dst").subtract(votes.filter("n_preserved >= 2").select("src", "dst"))
+
+
+@query("incremental_min_degree", f"""WITH p AS (SELECT a, b, dayofyear(ts) AS day FROM (SELECT lag(user_id) OVER (ORDER BY ts, event_id) AS a, user_id AS b, ts FROM events) WHERE a <> b),
+e AS (SELECT DISTINCT least(a, b) AS src, greatest(a, b) AS dst FROM p WHERE day < (SELECT min(day) + 10 FROM p)), half AS (SELECT src AS v FROM e UNION ALL SELECT dst FROM e)
+SELECT CAST(min(n) AS BIGINT) AS min_degree FROM (SELECT u.user_id, count(v) AS n FROM (SELECT DISTINCT user_id FROM events) u LEFT JOIN half ON v = u.user_id GROUP BY 1)""")
+def first_batch_degree(s, d):
+    """Least degree after the first ten days of the user graph."""
+    pairs = user_user(s, d).filter("a <> b").select("a", "b", F.dayofyear("ts").alias("day"))
+    first = pairs.agg(F.min("day").alias("first"))
+    early = pairs.crossJoin(F.broadcast(first)).filter(F.col("day") < F.col("first") + 10)  # first: one row
+    users = table(s, d, "events").select(F.col("user_id").alias("v")).distinct()
+    return Graph(users, canonical_edges(early)).degrees.agg(F.min("deg").alias("min_degree"))
+
+
 @query("scalar_json_props", "SELECT event_id, json_extract_string(props, '$.k') AS k FROM events")
 def json_props(s, d):
     return table(s, d, "events").select("event_id", F.get_json_object("props", "$.k").alias("k"))

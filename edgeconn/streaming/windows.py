@@ -24,13 +24,10 @@ def sessions(events: DataFrame, gap: str = "30 minutes", late: str = "1 hour") -
     return timed.groupBy("user_id", F.session_window("ts", gap)).agg(F.count(F.lit(1)).alias("n_events")).select("user_id", F.col("session_window.start").alias("start"), "n_events")
 
 
-def late_rows(events: DataFrame, order: str, allowed: str = "1 hour") -> DataFrame:
-    """(late, n): rows behind the greatest time seen before them, in arrival
-    order of the column ``order``, by more than ``allowed``."""
-    from pyspark.sql import Window
-
-    seen = F.max("ts").over(Window.orderBy(order).rowsBetween(Window.unboundedPreceding, -1))
-    return events.select((F.col("ts") < seen - F.expr(f"INTERVAL {allowed}")).alias("late")).groupBy(F.coalesce("late", F.lit(False)).alias("late")).agg(F.count(F.lit(1)).alias("n"))
+def late_rows(query) -> int:
+    """Rows that a finished streaming query dropped for being behind its
+    watermark, from its own progress reports."""
+    return sum(int(op.get("numRowsDroppedByWatermark", 0)) for p in query.recentProgress for op in p["stateOperators"])
 
 
 def unique_edges(stream: DataFrame, late: str = "1 hour") -> DataFrame:
