@@ -26,7 +26,9 @@ def shared_dir(spark: SparkSession) -> str:
 
 
 def new_path(spark: SparkSession, name: str) -> str:
-    return f"{shared_dir(spark)}/edgeconn-{name}-{uuid.uuid4().hex[:12]}"
+    path = f"{shared_dir(spark)}/edgeconn-{name}-{uuid.uuid4().hex[:12]}"
+    _MADE.append(path)
+    return path
 
 
 def remove(spark: SparkSession, path: str) -> None:
@@ -35,6 +37,18 @@ def remove(spark: SparkSession, path: str) -> None:
     target.getFileSystem(spark._jsc.hadoopConfiguration()).delete(target, True)
 
 
+_MADE: list[str] = []
+
+
+def clear(spark: SparkSession) -> int:
+    """Delete what this process has staged; results that read it must have
+    been written by then."""
+    n = len(_MADE)
+    while _MADE:
+        remove(spark, _MADE.pop())
+    return n
+
+
 @dataclass(frozen=True)
 class Staged:
     """A written intermediate table."""

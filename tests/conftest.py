@@ -19,6 +19,9 @@ def spark():
     )
     s.sparkContext.setLogLevel("ERROR")
     yield s
+    from edgeconn.plans.staging import clear
+
+    clear(s)
     s.stop()
 
 
