@@ -282,7 +282,7 @@ def links(distinct: DataFrame, p: SimHash) -> DataFrame:
     if not p.check_bits and not hot.isEmpty():
         again = rows.join(hot, "key", "left_semi").mapInArrow(_rekey_hot(p), "key long, fp binary")
         rows = rows.join(hot, "key", "left_anti").unionByName(again)
-    return rows.repartition("key").sortWithinPartitions("key").mapInArrow(_bucket_links(p), "a binary, b binary").distinct()
+    return rows.repartition("key").sortWithinPartitions("key", "fp").mapInArrow(_bucket_links(p), "a binary, b binary").distinct()
 
 
 def near_duplicates(docs: DataFrame, p: SimHash | None = None, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
