@@ -116,7 +116,9 @@ class Pseudonymiser:
             "phone": r"(?<![\w.-])(?P<phone>(?:\+1[ .-]?)?\(\d{3}\)[ .-]?\d{3}[ .-]\d{4}|\+1[ .-]?\d{3}[ .-]\d{3}[ .-]\d{4}|\d{3}[.-]\d{3}[.-]\d{4})(?![\w-])",
             "ssn": r"(?<![\w.-])(?P<ssn>\d{3}-\d{2}-\d{4})(?![\w-])",
         }
-        self.find = re.compile("|".join(forms[k] for k in s.kinds)).finditer
+        self.find = re.compile("|".join(forms[k] for k in s.kinds)).search
+        self.one = {k: re.compile(forms[k]).match for k in s.kinds}
+        self.group = re.compile(r"[A-Za-z0-9]+").match
         self.maybe = re.compile(r"[0-9@]|(?i:token|secret|key|password)").search
 
     def permute(self, kind: str, values: list[int], sizes: list[int], valid: Callable[[list[int]], bool] = lambda _: True) -> list[int]:
@@ -228,16 +230,44 @@ class Pseudonymiser:
         """The text with its valid values replaced, and their kinds in order."""
         if not self.maybe(text):
             return text, []
-        out, kinds, at = [], [], 0
-        for m in self.find(text):
-            kind = m.lastgroup
-            new = self.replace(kind, m[kind])
-            if new is not None:
-                out += [text[at : m.start(kind)], new]
-                at = m.end(kind)
+        out, kinds, at, m = [], [], 0, self.find(text)
+        while m:
+            got = self._valid(text, m)
+            if got:
+                kind, start, end, new = got
+                out += [text[at:start], new]
+                at = end
                 kinds.append(kind)
+            else:  # what follows the first group may be a value of its own
+                first = self.group(text, m.start(m.lastgroup))
+                end = first.end() if first else m.end(m.lastgroup)
+            m = self.find(text, end)
         return "".join([*out, text[at:]]), kinds
 
+    def _valid(self, text: str, m) -> tuple[str, int, int, str] | None:
+        """(kind, start, end, pseudonym) of the first valid reading of a match:
+        its own kind whole, then up to an earlier group, then other kinds."""
+        own = m.lastgroup
+        for kind in (own, *(k for k in self.s.kinds if k != own)):
+            found = m if kind == own else self.one[kind](text, m.start())
+            if not found:
+                continue
+            value, start = found[kind], found.start(kind)
+            for size in self._sizes(kind, value):
+                new = self.replace(kind, value[:size])
+                if new is not None:
+                    return kind, start, start + size, new
+        return None
+
+    def _sizes(self, kind: str, value: str) -> list[int]:
+        """Lengths to try: the whole, and where neighbouring groups may have
+        been taken in, what ends with an earlier group and is long enough."""
+        least = {"card": 13, "iban": 12}.get(kind)
+        sizes = [len(value)]
+        if least:
+            sizes += [i for i in range(len(value) - 1, 0, -1) if value[i] in " -" and sum(c.isalnum() for c in value[:i]) >= least]
+        return sizes
+
 
 def pseudonymise(docs: DataFrame, text_col: str = "text", s: Settings | None = None) -> DataFrame:
     """All columns of ``docs`` with the text replaced, plus n_replaced int and

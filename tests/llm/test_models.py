@@ -122,6 +122,28 @@ def test_formats():
     assert none == [] and same.startswith("v1.2.3")
 
 
+def iban(country, body):
+    return f"{country}{98 - int(''.join(str(int(c, 36)) for c in body + country + '00')) % 97:02d}{body}"
+
+
+def test_neighbouring_values_do_not_hide_each_other():
+    at = iban("AT", "1904300234573201")
+    spaced = " ".join(at[i : i + 4] for i in range(0, 20, 4))
+    for text, values, kinds in [
+        ("123-45-6789 456-78-1234", ["123-45-6789", "456-78-1234"], ["ssn", "ssn"]),
+        ("4465758382889437 123", ["4465758382889437"], ["card"]),
+        ("4465-7583-8288-9437-123", ["4465-7583-8288-9437"], ["card"]),
+        ("12 4465758382889437 123", ["4465758382889437"], ["card"]),
+        ("555-123-4567 2025", ["555-123-4567"], ["phone"]),
+        ("123-45-6789 123456", ["123-45-6789"], ["ssn"]),
+        (f"{spaced} PAID on", [spaced], ["iban"]),
+        (f"{at} NOW", [at], ["iban"]),
+        ("DE12 4111 1111 1111 1111", ["4111 1111 1111 1111"], ["card"]),
+    ]:
+        new, got = KEYED.text(text)
+        assert got == kinds and len(new) == len(text) and not any(v in new for v in values), text
+
+
 def test_pii_query_and_edges(spark, small):
     rows = op9_pii(spark, small).collect()
     docs = {r.doc_id: r.text for r in spark.read.parquet(f"{small}/documents.parquet").collect()}
