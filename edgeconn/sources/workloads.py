@@ -116,26 +116,58 @@ def conversation_paths(spark: SparkSession, d: str) -> DataFrame:
     return c.select((F.col("conv_id") * 4096 + F.col("turn")).alias("a"), (F.col("conv_id") * 4096 + F.col("after")).alias("b"))
 
 
-def embedding_neighbours(spark: SparkSession, d: str, k: int = 8) -> DataFrame:
-    """Mutual k nearest by cosine among one label's vectors: blocks of vectors
-    are multiplied, no pair table is built."""
-    e = table(spark, d, "embeddings").select("vec_id", "label", "embedding")
+def nearest(e: DataFrame, k: int, block: int = 4096) -> DataFrame:
+    """(a, b): the k vectors of greatest cosine of each vector, among all.
+
+    Vectors are dealt into even blocks, each block is multiplied with every
+    block, and a task sends on k rows of a vector and block at most. Cosines
+    equal to 12 places are ties, which the lesser id wins.
+    """
+    from edgeconn.plans.staging import stage
 
-    def near(pdf):
+    known = e.filter("vec_id IS NOT NULL AND embedding IS NOT NULL").select("vec_id", "embedding")
+    n = max(1, -(-known.count() // block))
+
+    def pack(pdf):
         import numpy as np
         import pandas as pd
 
-        x = np.stack(pdf["embedding"].to_numpy())
+        x = np.stack(pdf["embedding"].to_numpy()).astype(np.float64)
         x = x / np.maximum(np.linalg.norm(x, axis=1, keepdims=True), 1e-12)
-        ids, out = pdf["vec_id"].to_numpy(), []
-        for i in range(0, len(x), 1024):
-            sim = x[i : i + 1024] @ x.T
-            sim[np.arange(len(sim)), np.arange(i, i + len(sim))] = -2
-            top = np.argsort(-sim, axis=1, kind="stable")[:, : min(k, len(x) - 1)]
-            out.append(pd.DataFrame({"a": np.repeat(ids[i : i + 1024], top.shape[1]), "b": ids[top.ravel()]}))
-        return pd.concat(out)
-
-    one = e.groupBy("label").applyInPandas(near, "a long, b long")
+        order = np.argsort(pdf["vec_id"].to_numpy(), kind="stable")
+        return pd.DataFrame({"block": [pdf["block"].iloc[0]], "ids": [pdf["vec_id"].to_numpy(np.int64)[order].tobytes()], "x": [x[order].tobytes()]})
+
+    def near(batches):
+        import numpy as np
+        import pandas as pd
+
+        for pdf in batches:
+            for row in pdf.itertuples():
+                ids, other = np.frombuffer(row.ids, np.int64), np.frombuffer(row.ids2, np.int64)
+                x, y = np.frombuffer(row.x).reshape(len(ids), -1), np.frombuffer(row.x2).reshape(len(other), -1)
+                for i in range(0, len(x), 512):
+                    mine = ids[i : i + 512]
+                    sim = np.round(x[i : i + 512] @ y.T, 12)
+                    sim[mine[:, None] == other[None, :]] = -2
+                    top = np.argsort(-sim, axis=1, kind="stable")[:, :k]
+                    best = np.take_along_axis(sim, top, 1)
+                    real = best.ravel() > -2
+                    yield pd.DataFrame({"a": np.repeat(mine, top.shape[1])[real], "b": other[top.ravel()][real], "sim": best.ravel()[real]})
+
+    dealt = known.withColumn("block", F.pmod(F.xxhash64("vec_id"), F.lit(n)).cast("int"))
+    packed = stage(dealt.groupBy("block").applyInPandas(pack, "block int, ids binary, x binary"), "vector-blocks").df
+    left = packed.withColumn("to", F.explode(F.sequence(F.lit(0), F.lit(n - 1)))).drop("block")
+    right = packed.select(F.col("block").alias("to"), F.col("ids").alias("ids2"), F.col("x").alias("x2"))
+    pairs = left.join(right, "to").mapInPandas(near, "a long, b long, sim double")
+    place = F.row_number().over(Window.partitionBy("a").orderBy(F.desc("sim"), "b"))
+    return pairs.withColumn("place", place).filter(F.col("place") <= k).select("a", "b")
+
+
+def embedding_neighbours(spark: SparkSession, d: str, k: int = 8) -> DataFrame:
+    """Mutual k nearest by cosine among all vectors; labels are not read."""
+    from edgeconn.plans.staging import stage
+
+    one = stage(nearest(table(spark, d, "embeddings"), k), "neighbours").df
     return one.join(one.select(F.col("a").alias("b"), F.col("b").alias("a")), ["a", "b"]).filter("a < b").select("a", "b")
 
 
