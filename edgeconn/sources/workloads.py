@@ -110,10 +110,12 @@ def page_links(spark: SparkSession, d: str) -> DataFrame:
 
 
 def conversation_paths(spark: SparkSession, d: str) -> DataFrame:
-    """Consecutive turns of a conversation."""
+    """Consecutive turns of a conversation, through the dictionary, so that a
+    conversation may have any number of turns."""
     w = Window.partitionBy("conv_id").orderBy("turn")
     c = table(spark, d, "conversations").select("conv_id", "turn", F.lead("turn").over(w).alias("after")).filter("after IS NOT NULL")
-    return c.select((F.col("conv_id") * 4096 + F.col("turn")).alias("a"), (F.col("conv_id") * 4096 + F.col("after")).alias("b"))
+    name = lambda turn: F.concat(F.col("conv_id").cast("string"), F.lit(":"), F.col(turn).cast("string"))
+    return encode_vertices(c.select(name("turn").alias("a"), name("after").alias("b")))[0]
 
 
 def nearest(e: DataFrame, k: int, block: int = 4096) -> DataFrame:

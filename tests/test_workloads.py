@@ -2,7 +2,9 @@
 
 import numpy as np
 import pytest
+from pyspark.sql import functions as F
 
+from edgeconn.plans.staging import new_path
 from edgeconn.sources import workloads as W
 
 
@@ -20,3 +22,14 @@ def test_neighbours_are_sought_among_all_vectors(spark, small, block):
     if block == 4096:
         mutual = {(r.a, r.b) for r in W.embedding_neighbours(spark, small).collect()}
         assert mutual == {(a, b) for a, b in want if a < b and (b, a) in want}
+
+
+def test_conversations_of_many_turns_stay_apart(spark):
+    folder = new_path(spark, "long-talks")
+    turns = spark.range(5000).select(F.lit(1).cast("long").alias("conv_id"), F.col("id").alias("turn"))
+    more = spark.range(1000).select(F.lit(2).cast("long").alias("conv_id"), F.col("id").alias("turn"))
+    turns.unionByName(more).write.parquet(f"{folder}/conversations.parquet")
+    g = W.graph(spark, folder, "conversation_paths")
+    assert g.edges.count() == 4999 + 999
+    ends = g.degrees.groupBy("deg").count().collect()
+    assert {r.deg: r["count"] for r in ends} == {1: 4, 2: 5996}
