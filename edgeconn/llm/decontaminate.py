@@ -1,6 +1,8 @@
 """Benchmark decontamination by the q-gram lemma on overlapping diagonal bands.
 
-Benchmark items are cut into overlapping probes of normalised characters. A
+Benchmark items are cut into overlapping probes of normalised characters: long
+ones for passages with edits, short ones for parts of an item, so that any run
+of ``part + step - 1`` characters of an item holds a whole short probe. A
 probe of m characters that occurs in a document with at most k edits shares at
 least m + 1 - q * (k + 1) of its q-grams with the place, all on diagonals that
 lie within k of each other. Shared q-grams are therefore counted in diagonal
@@ -25,7 +27,8 @@ MULT = 0x9E3779B97F4A7C15
 @dataclass(frozen=True)
 class Settings:
     """q: gram length. edits: budget as a share of a probe's length, below
-    1 / q. probe, stride: probes of longer items. broadcast_chars: benchmark
+    1 / q. probe, stride: probes of longer items. part, step: short probes of
+    items over ``part`` characters. broadcast_chars: benchmark
     text held by a worker at once; a larger benchmark is searched for in
     several passes, each over all documents."""
 
@@ -33,6 +36,8 @@ class Settings:
     edits: float = 0.08
     probe: int = 96
     stride: int = 48
+    part: int = 48
+    step: int = 16
     broadcast_chars: int = 16 << 20
 
 
@@ -79,19 +84,18 @@ class Probes:
     def __init__(self, items: list[tuple[int, str]], s: Settings):
         import numpy as np
 
-        self.s, self.codes, self.item, self.budget = s, [], [], []
+        self.s, self.codes, self.item, self.budget, self.short = s, [], [], [], []
         for item, text in items:
             codes, _ = normalise(text or "")
             if len(codes) and codes[-1] == 32:  # what follows the last word is the document's
                 codes = codes[:-1]
             if len(codes) < s.q:
                 continue
-            last = max(0, len(codes) - s.probe)
-            for at in sorted({*range(0, last, s.stride), last}):
-                part = codes[at : at + s.probe]
-                self.codes.append(part)
-                self.item.append(item)
-                self.budget.append(min(int(s.edits * len(part)), (len(part) + 1) // s.q - 2) if len(part) >= 3 * s.q else 0)
+            cuts = [(False, s.probe, s.stride), *([(True, s.part, s.step)] if len(codes) > s.part else [])]
+            for short, size, stride in cuts:
+                last = max(0, len(codes) - size)
+                starts = sorted({*range(0, last, stride), last})
+                self._add(item, [codes[at : at + size] for at in starts], short)
         self.budget = np.maximum(np.array(self.budget, np.int64), 0)
         self.size = np.array([len(c) for c in self.codes], np.int64)
         self.need = np.maximum(self.size + 1 - s.q * (self.budget + 1), 1)
@@ -107,6 +111,14 @@ class Probes:
         self.there[(self.keys >> self.shift).astype(np.int64)] = True
         self.band = int(max(1, self.budget.max(initial=0))) + 1
 
+    def _add(self, item: int, parts: list, short: bool) -> None:
+        q = self.s.q
+        for part in parts:
+            self.codes.append(part)
+            self.item.append(item)
+            self.short.append(short)
+            self.budget.append(min(int(self.s.edits * len(part)), (len(part) + 1) // q - 2) if len(part) >= 3 * q else 0)
+
 
 def align(text, probe, low: int, high: int) -> tuple[int, int, int]:
     """(edits, start, end) of the best place of the probe in the text whose
@@ -139,8 +151,9 @@ def align(text, probe, low: int, high: int) -> tuple[int, int, int]:
 
 
 def find(probes: Probes, texts: list[str]) -> list[tuple[int, int, int, int, int]]:
-    """(text no, probe no, start, end, edits) of each probe's best place in
-    each band that passes, in places of the original text."""
+    """(text no, probe no, start, end, edits) of each probe's places that do
+    not overlap in each band that passes, in places of the original text; the
+    best of a text and probe comes last."""
     import numpy as np
 
     s, out = probes.s, []
@@ -186,26 +199,45 @@ def find(probes: Probes, texts: list[str]) -> list[tuple[int, int, int, int, int
             seen[p, d] = (low, low + 2 * w - 1)
     for (p, d), (low, high) in seen.items():
         _verify(probes, parts, d, p, low, high, out)
-    return out
+    return sorted(out, key=lambda r: (r[0], r[1], -r[4]))
 
 
 def _verify(probes: Probes, parts, d: int, p: int, low: int, high: int, out: list) -> None:
     codes, place = parts[d]
     k, m = int(probes.budget[p]), int(probes.size[p])
-    a, z = max(0, low - k), min(len(codes), high + m + k + 1)
-    exact = codes[a:z].tobytes().find(probes.codes[p].tobytes())
-    if exact >= 0 and exact % 4 == 0:
-        edits, start, end = 0, exact // 4, exact // 4 + m
-    else:
-        edits, start, end = align(codes[a:z], probes.codes[p], low - k - a, high + k - a)
-    if edits <= k and end > start:
-        out.append((d, p, int(place[a + start]), int(place[a + end - 1]) + 1, edits))
+    probe = probes.codes[p]
+    todo = [(max(0, low - k), min(len(codes), high + m + k + 1))]
+    while todo:
+        a, z = todo.pop()
+        if z - a < m - k:
+            continue
+        exact = codes[a:z].tobytes().find(probe.tobytes())
+        if exact >= 0 and exact % 4 == 0:
+            edits, start, end = 0, exact // 4, exact // 4 + m
+        elif k or exact >= 0:
+            edits, start, end = align(codes[a:z], probe, low - k - a, high + k - a)
+        else:
+            continue
+        if edits <= k and end > start:
+            out.append((d, p, int(place[a + start]), int(place[a + end - 1]) + 1, edits))
+            todo += [(a, a + start), (a + end, z)]
+
+
+def without_repeats(probes: Probes, found: list) -> list:
+    """Places of short probes go where a long probe of the item was found."""
+    whole: dict[tuple, list] = {}
+    for d, p, start, end, _ in found:
+        if not probes.short[p]:
+            whole.setdefault((d, probes.item[p]), []).append((start, end))
+    inside = lambda d, p, start, end: any(a - probes.budget[p] <= start and end <= z + probes.budget[p] for a, z in whole.get((d, probes.item[p]), ()))
+    return [r for r in found if not (probes.short[r[1]] and inside(*r[:4]))]
 
 
 def leaks(docs: DataFrame, benchmark: DataFrame, s: Settings | None = None, id_col: str = "doc_id", item_col: str = "item_id") -> DataFrame:
     """(id, item, probe_size, start, end, edits): a row for each probe of a
     benchmark item found in a text within its edit budget; start and end are
-    code points of the original text.
+    code points of the original text. Short probes are left out where a long
+    probe of the item was found.
 
     Null texts are empty and hold nothing. Items without q characters, null
     ones among them, can share no q-gram and are never found; items under
@@ -259,7 +291,7 @@ def _search(texts: DataFrame, items: list, s: Settings, schema: str) -> DataFram
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         probes = Probes(sent.value, s)
         for b in blocks(batches, "text", 2 << 20):
-            got = find(probes, b.column("text").to_pylist())
+            got = without_repeats(probes, find(probes, b.column("text").to_pylist()))
             ids = b.column("id").take(pa.array([g[0] for g in got], pa.int64()))
             cols = [[probes.item[g[1]] for g in got], [int(probes.size[g[1]]) for g in got], *([g[i] for g in got] for i in (2, 3, 4))]
             types = [pa.int64(), pa.int32(), pa.int64(), pa.int64(), pa.int32()]

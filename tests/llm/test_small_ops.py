@@ -125,6 +125,26 @@ def test_leak_places_and_edges(spark):
     assert decontaminate.leaks(docs, bench.filter("false")).count() == decontaminate.leaks(docs.filter("false"), bench).count() == 0
 
 
+def test_verbatim_parts_are_found_at_every_offset():
+    rng = random.Random(7)
+    word = lambda: "".join(rng.choice("abcdefgh") for _ in range(rng.randint(2, 7)))
+    for size in (70, 96, 300):
+        item = " ".join(word() for _ in range(100))[:size].strip()
+        probes = decontaminate.Probes([(3, item)], decontaminate.Settings())
+        texts = [f"zzzz {item[i : i + 63]} zzzz" for i in range(len(item) - 62)]
+        found = decontaminate.find(probes, texts)
+        assert {d for d, _, _, _, e in found if e == 0} == set(range(len(texts)))
+        assert decontaminate.without_repeats(probes, found)
+        assert not decontaminate.find(probes, [item[:40]])
+
+
+def test_each_place_of_a_band_is_found():
+    item = ("abcd " * 10).strip()
+    probes = decontaminate.Probes([(1, item)], decontaminate.Settings())
+    places = [(s, e) for _, p, s, e, _ in decontaminate.find(probes, [" ".join([item] * 3)]) if p == 0]
+    assert {(0, 49), (50, 99), (100, 149)} <= set(places)
+
+
 # Fingerprints.
 
 def test_closed_syncmers_are_those_of_the_definition():
