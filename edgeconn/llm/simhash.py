@@ -37,9 +37,7 @@ class SimHash:
     most 48 bits. max_bits: fingerprints link at so many differing bits; the
     search is exact while max_bits < 2 * segments, beyond that a pair is found
     if any one segment differs in at most one bit. words: shingle length.
-    distinct: count a shingle once per text. check_bits, check_words: where
-    given, a second fingerprint of its own shingles, on which max_bits holds;
-    the first then only finds candidates.
+    distinct: count a shingle once per text.
     """
 
     bits: int = 64
@@ -47,13 +45,11 @@ class SimHash:
     max_bits: int = 3
     words: int = 3
     distinct: bool = False
-    check_bits: int = 0
-    check_words: int = 5
 
     @property
     def size(self) -> int:
-        """Bytes of both fingerprints."""
-        return (self.bits + self.check_bits) // 8
+        """Bytes of a fingerprint."""
+        return self.bits // 8
 
     def cuts(self) -> list[tuple[int, int]]:
         at = [self.bits * i // self.segments for i in range(self.segments + 1)]
@@ -65,8 +61,7 @@ def text_fingerprint(text: str | None, p: SimHash) -> bytes:
     words = (text or "").encode("utf-8").lower().split()
     if not words:
         return bytes(p.size)
-    first = _lanes(words, p.words, p.bits // 64, p.distinct)
-    return first + _lanes(words, p.check_words, p.check_bits // 64, p.distinct) if p.check_bits else first
+    return _lanes(words, p.words, p.bits // 64, p.distinct)
 
 
 def _lanes(words: list[bytes], k: int, lanes: int, distinct: bool) -> bytes:
@@ -142,7 +137,7 @@ def variant_keys(distinct: DataFrame, p: SimHash) -> DataFrame:
         for b in batches:
             for i in range(0, b.num_rows, 1024):
                 part = b.slice(i, 1024)
-                bits = np.unpackbits(_as_words(part.column("fp"), p.size)[:, : p.bits // 8], axis=1)
+                bits = np.unpackbits(_as_words(part.column("fp"), p.size), axis=1)
                 keys = np.concatenate([_strike(bits, a, z - a, a) for a, z in p.cuts()], axis=1)
                 ref = np.repeat(part.column("ref").to_numpy(), keys.shape[1])
                 yield pa.RecordBatch.from_arrays([pa.array(keys.ravel().view(np.int64)), pa.array(ref)], ["key", "ref"])
@@ -218,8 +213,7 @@ def _bucket_links(p: SimHash):
         for t in _runs(batches, ["key", "fp"]):
             key = t.column("key").to_numpy()
             fps = t.column("fp").combine_chunks() if isinstance(t.column("fp"), pa.ChunkedArray) else t.column("fp")
-            words = _as_words(fps, p.size)
-            words = np.ascontiguousarray(words[:, p.bits // 8 :] if p.check_bits else words).view(np.uint64)
+            words = np.ascontiguousarray(_as_words(fps, p.size)).view(np.uint64)
             start = np.flatnonzero(np.r_[True, key[1:] != key[:-1]])
             size = np.diff(np.r_[start, len(key)])
             two = start[size == 2]
@@ -254,7 +248,7 @@ def _rekey_hot(p: SimHash):
         for b in batches:
             for i in range(0, b.num_rows, 1024):
                 part = b.slice(i, 1024)
-                bits = np.unpackbits(_as_words(part.column("fp"), p.size)[:, : p.bits // 8], axis=1)
+                bits = np.unpackbits(_as_words(part.column("fp"), p.size), axis=1)
                 old, fps = part.column("key").to_numpy().view(np.uint64), part.column("fp")
                 struck = (old >> np.uint64(48)).astype(np.int64)
                 for a, z in cuts:
@@ -279,7 +273,7 @@ def links(distinct: DataFrame, p: SimHash) -> DataFrame:
     shared = stage(sorted_keys.mapInArrow(_shared, "key long, ref long"), "simhash-keys")
     rows = shared.df.join(distinct.select("fp", F.xxhash64("fp").alias("ref")), "ref").select("key", "fp")
     hot = shared.df.groupBy("key").count().filter(F.col("count") > HOT).select("key")
-    if not p.check_bits and not hot.isEmpty():
+    if not hot.isEmpty():
         again = rows.join(hot, "key", "left_semi").mapInArrow(_rekey_hot(p), "key long, fp binary")
         rows = rows.join(hot, "key", "left_anti").unionByName(again)
     return rows.repartition("key").sortWithinPartitions("key", "fp").mapInArrow(_bucket_links(p), "a binary, b binary").distinct()
@@ -302,20 +296,3 @@ def near_duplicates(docs: DataFrame, p: SimHash | None = None, id_col: str = "do
     least = linked.groupBy("root").agg(F.min("first").alias("component"))
     of_fp = groups.join(linked.select("fp", "root").join(least, "root").select("fp", "component"), "fp", "left").select("fp", F.coalesce("component", "first").alias("component"))
     return fps.join(of_fp, "fp").select("id", "fp", "component")
-
-
-#: For whole texts of which one in a group stays. Candidates come from two-word
-#: shingles, where few edits change few bits; a pair links where 512 bits of its
-#: five-word shingles differ in 92 at most, so that a shingle similarity
-#: of 0.8 (77.6 expected, standard deviation 8.1) passes almost always.
-NEAR_COPIES = SimHash(bits=192, segments=8, max_bits=92, words=2, distinct=True, check_bits=512, check_words=5)
-
-
-def one_of_each(docs: DataFrame, p: SimHash = NEAR_COPIES) -> DataFrame:
-    """Rows of ``docs``, all columns, whose id is the least of its component.
-
-    Rows that repeat an id stay or go together; rows without an id stay.
-    """
-    found = near_duplicates(docs.filter(F.col("doc_id").isNotNull()), p)
-    gone = found.filter(F.col("id") != F.col("component")).select(F.col("id").alias("doc_id"))
-    return docs.join(gone, "doc_id", "left_anti")

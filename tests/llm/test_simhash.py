@@ -74,31 +74,3 @@ def test_edges_of_the_input(spark):
     assert S.near_duplicates(df.filter("false")).count() == 0
 
 
-def test_wide_fingerprints_find_edited_copies(spark):
-    rng = random.Random(3)
-    words = [f"w{i}" for i in range(4000)]
-    rows, p = [], S.NEAR_COPIES
-    for g in range(60):
-        t = [rng.choice(words) for _ in range(300)]
-        rows.append((2 * g, " ".join(t)))
-        t = list(t)
-        t[rng.randrange(300)] = "other"
-        t[rng.randrange(300)] = "more"
-        rows.append((2 * g + 1, " ".join(t)))
-    out = {r.id: r.component for r in S.near_duplicates(spark.createDataFrame(rows, "doc_id long, text string"), p).collect()}
-    assert sum(out[2 * g + 1] == 2 * g for g in range(60)) >= 57
-    assert all(out[2 * g] == 2 * g for g in range(60))
-
-
-def test_links_of_a_large_group_stay_under_their_bound(spark):
-    """A bucket's forest has fewer links than members and a fingerprint is in
-    one bucket a bit, so m near copies make under bits * m links, not m**2."""
-    rng = random.Random(9)
-    base = rng.getrandbits(704)
-    for m in (100, 1000):
-        fps = {(base ^ sum(1 << b for b in rng.sample(range(704), 12))).to_bytes(88, "big") for _ in range(m)}
-        df = spark.createDataFrame([(bytearray(f),) for f in fps], "fp binary")
-        found = S.links(df, S.NEAR_COPIES).collect()
-        print("links", m, len(found))
-        assert len({bytes(x) for r in found for x in r}) == m
-        assert len(found) <= S.NEAR_COPIES.bits * (m - 1)
