@@ -8,7 +8,12 @@ by a logistic calibration fitted on labelled texts the dictionaries never saw.
 
 Both dictionaries end in the same block of common ordinary text, so common
 matter costs the same under either and cancels; before it each has the
-segments that its class uses significantly more than the other does.
+segments that its class uses significantly more than the other does. With few
+labels hardly any segment is significant; the toxic dictionary then takes its
+surest ones all the same, and the calibration decides what they are worth.
+
+The library's own trainer is not used: on these windows it keeps what is
+frequent in a class, which both classes share (figures in the README).
 """
 
 from __future__ import annotations
@@ -27,8 +32,9 @@ from edgeconn.llm.common import blocks, held_out, keep_rows, text_or_empty
 class Settings:
     """per_class: labelled texts of each class that a fit reads at most (the
     bound of the training sample). window: bytes. lengths: of segments.
-    segments: per length. significance: least z value of a segment. part:
-    bytes of a dictionary's own part and of its common part. miss_cost: what a
+    segments: per length. significance: least z value of a segment. fill:
+    segments a length that the toxic dictionary takes at least. part: bytes of
+    a dictionary's own part and of its common part. miss_cost: what a
     missed toxic text weighs against a false alarm; shifts the calibration."""
 
     per_class: int = 1500
@@ -36,6 +42,7 @@ class Settings:
     lengths: tuple[int, ...] = (5, 7, 9, 12)
     segments: int = 200
     significance: float = 6.0
+    fill: int = 25
     part: int = 6000
     level: int = 5
     miss_cost: float = 2.0
@@ -105,14 +112,15 @@ def _usage_of(keys, texts: list[bytes], n: int, most: int = 4):
     return s, q
 
 
-def _typical(of: list[bytes], against: list[bytes], s: Settings) -> list[bytes]:
-    """Segments that texts of one class use more, the surest last."""
+def _typical(of: list[bytes], against: list[bytes], s: Settings, fill: int = 0) -> list[bytes]:
+    """Segments that texts of one class use more, the surest last; ``fill`` of
+    each length even where they are not significant."""
     import numpy as np
 
     found: dict[bytes, float] = {}
     for n in s.lengths:
         ka, sa, qa = _usage(of, n)
-        often = sa >= 5
+        often = sa >= (3 if fill else 5)
         ka, sa, qa = ka[often], sa[often].astype(float), qa[often].astype(float)
         if not len(ka) or not against:
             continue
@@ -122,7 +130,8 @@ def _typical(of: list[bytes], against: list[bytes], s: Settings) -> list[bytes]:
         z = (ma - mb) / np.sqrt(va / len(of) + np.maximum(vb, 1 / len(against)) / len(against) + 1e-9)
         z[ma < 2 * mb] = 0
         best = np.argsort(-z, kind="stable")[: s.segments]
-        best = best[z[best] > s.significance]
+        best = best[: max(fill, int((z[best] > s.significance).sum()))]
+        best = best[z[best] > 0]
         want = dict(zip(ka[best].tolist(), z[best].tolist(), strict=True))
         keys = np.array(sorted(want), np.uint64)
         for b in of:
@@ -217,7 +226,7 @@ def fit(toxic: list[str], ordinary: list[str], rate: float | None = None, s: Set
         for w in set(b.split()):
             words[w] = words.get(w, 0) + 1
     common = b" ".join(sorted(words, key=lambda w: (words[w], w)))[-s.part :]
-    m = Model(_dictionary(_typical(t_in, o_in, s), common, s.part), _dictionary(_typical(o_in, t_in, s), common, s.part), s.window, s.level)
+    m = Model(_dictionary(_typical(t_in, o_in, s, s.fill), common, s.part), _dictionary(_typical(o_in, t_in, s), common, s.part), s.window, s.level)
     x = features(m, [*t[len(t_in) :], *o[len(o_in) :]])
     y = np.array([1] * (n1 - len(t_in)) + [0] * (n0 - len(o_in)), float)
     w, mean, scale = _calibrate(x, y)
@@ -230,7 +239,8 @@ def train(docs: DataFrame, labels: DataFrame, folds: int | None = 5, s: Settings
     """Fit on a bounded sample of labelled texts: of each class the
     ``per_class`` ids of least hash. ``folds`` leaves out ids whose crc32 it
     divides. Null labels and ids are skipped; an id labelled twice is toxic if
-    one label says so; null texts are empty."""
+    one label says so; of rows that repeat an id the least text is learnt from;
+    null texts are empty; without a document or a label the score is 0."""
     s = s or Settings()
     known = labels.filter(F.col("doc_id").isNotNull() & F.col("toxic").isNotNull()).groupBy("doc_id").agg(F.max("toxic").alias("y"))
     if folds:
@@ -239,7 +249,8 @@ def train(docs: DataFrame, labels: DataFrame, folds: int | None = 5, s: Settings
     rank = [F.xxhash64("doc_id"), F.col("doc_id")]
     sample = known.filter("y > 0").orderBy(*rank).limit(s.per_class).unionByName(known.filter("y <= 0").orderBy(*rank).limit(s.per_class))
     texts = docs.select("doc_id", text_or_empty("text").alias("text"))
-    rows = texts.join(F.broadcast(sample), "doc_id").select("y", "text", F.xxhash64("doc_id").alias("r")).collect()  # sample: 2 * per_class ids at most
+    chosen = texts.join(F.broadcast(sample), "doc_id").groupBy("doc_id").agg(F.min("y").alias("y"), F.min("text").alias("text"))
+    rows = chosen.select("y", "text", F.xxhash64("doc_id").alias("r")).collect()  # 2 * per_class texts at most
     rows.sort(key=lambda r: (r.r, r.text))
     return fit([r.text for r in rows if r.y > 0], [r.text for r in rows if r.y <= 0], share or 0.0, s)
 
@@ -260,7 +271,10 @@ def score(docs: DataFrame, model: Model, id_col: str = "doc_id", text_col: str =
 
 
 def without_toxic(docs: DataFrame, model: Model, threshold: float = 0.5) -> DataFrame:
-    """Rows of ``docs``, all columns, whose score stays under the threshold."""
+    """Rows of ``docs``, all columns, whose score stays under the threshold.
+
+    Each row is judged by its own text, null as empty: repeated rows stay or
+    go together, ids are not read, an empty table gives an empty one."""
     sent = docs.sparkSession.sparkContext.broadcast(model)
 
     def make():
