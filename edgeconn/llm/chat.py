@@ -27,8 +27,18 @@ class Template:
     close: str = "|>\n"
     end: str = "<|end|>\n"
 
+    def speaker(self, role: Column) -> Column:
+        """A name for every role; one that reads like the name of the unnamed
+        gets a mark before it, so that different roles have different names."""
+        taken = role.rlike(f"^=*{self.unnamed}$")
+        return F.coalesce(F.when(taken, F.concat(F.lit("="), role)).otherwise(role), F.lit(self.unnamed))
+
+    def plain(self, text: Column) -> Column:
+        """Text in which no mark of the template can begin or end."""
+        return F.replace(F.replace(text, F.lit("<|"), F.lit("<\\|")), F.lit("|>"), F.lit("|\\>"))
+
     def header(self, chat_role: Column, name: Column) -> Column:
-        user = F.concat(F.lit("user:"), name)
+        user = F.concat(F.lit("user:"), self.plain(name))
         return F.concat(F.lit(self.open), F.when(chat_role == "user", user).otherwise(chat_role), F.lit(self.close))
 
 
@@ -37,12 +47,14 @@ def perspectives(turns: DataFrame, t: Template | None = None) -> DataFrame:
     train_start, train_end), one row per turn and participant.
 
     Turns are ordered by (turn, role, text), nulls first; equal turns stay. A
-    null role speaks as ``unknown``, a null text is empty. A row without a
+    null role speaks as ``unknown`` (a role of that name as ``=unknown``), a
+    null text is empty. Marks of the template inside texts and names are broken
+    by a backslash, so no text can forge a header or an end. A row without a
     conv_id is a dialogue of its own. A conversation with system turns alone
     has no participant and so no rendering. Other columns are not read.
     """
     t = t or Template()
-    rows = turns.select("conv_id", "turn", F.coalesce("role", F.lit(t.unnamed)).alias("name"), F.coalesce("text", F.lit("")).alias("body"))
+    rows = turns.select("conv_id", "turn", t.speaker(F.col("role")).alias("name"), t.plain(F.coalesce("text", F.lit(""))).alias("body"))
     seats = rows.filter(F.col("name") != t.system).select("conv_id", F.col("name").alias("perspective")).distinct()
     joined = rows.join(seats, "conv_id").unionByName(rows.filter(F.col("conv_id").isNull() & (F.col("name") != t.system)).withColumn("perspective", F.col("name")))
     chat_role = F.when(F.col("name") == t.system, F.lit(t.system)).when(F.col("name") == F.col("perspective"), F.lit("assistant")).otherwise(F.lit("user"))
@@ -61,12 +73,13 @@ def perspectives(turns: DataFrame, t: Template | None = None) -> DataFrame:
     )
 
 
-ORACLE_SQL = """
-WITH r AS (SELECT conv_id, turn, coalesce(role, 'unknown') AS name, coalesce(text, '') AS body FROM conversations),
+ORACLE_SQL = r"""
+WITH r AS (SELECT conv_id, turn, coalesce(CASE WHEN regexp_matches(role, '^=*unknown$') THEN '=' || role ELSE role END, 'unknown') AS name,
+      replace(replace(coalesce(text, ''), '<|', '<\|'), '|>', '|\>') AS body FROM conversations),
 s AS (SELECT DISTINCT conv_id, name AS perspective FROM r WHERE name <> 'system'),
 j AS (SELECT r.*, perspective, CASE WHEN name = 'system' THEN 'system' WHEN name = perspective THEN 'assistant' ELSE 'user' END AS chat_role
       FROM r JOIN s USING (conv_id)),
-h AS (SELECT *, '<|' || CASE WHEN chat_role = 'user' THEN 'user:' || name ELSE chat_role END || '|>' || chr(10) AS header FROM j),
+h AS (SELECT *, '<|' || CASE WHEN chat_role = 'user' THEN 'user:' || replace(replace(name, '<|', '<\|'), '|>', '|\>') ELSE chat_role END || '|>' || chr(10) AS header FROM j),
 p AS (SELECT *, header || body || '<|end|>' || chr(10) AS piece FROM h),
 w AS (SELECT *, row_number() OVER o - 1 AS seq, CAST(sum(length(piece)) OVER o - length(piece) AS BIGINT) AS char_start FROM p
       WINDOW o AS (PARTITION BY conv_id, perspective ORDER BY turn, name, body ROWS UNBOUNDED PRECEDING))
