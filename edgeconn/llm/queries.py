@@ -11,6 +11,10 @@ from edgeconn.llm.simhash import SimHash, near_duplicates
 from edgeconn.plans.staging import new_path, stage
 
 
+#: Rank of a missing id: after all others.
+FAR = (1 << 63) - 1
+
+
 def op1_chat_perspectives(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Every conversation rendered from each participant's seat, by pieces."""
     return chat.perspectives(table(spark, sf_dir, "conversations"))
@@ -22,15 +26,17 @@ def op2_token_rollup(spark: SparkSession, sf_dir: str) -> DataFrame:
     first and last batch are delivered twice."""
     docs = table(spark, sf_dir, "documents").select("doc_id", "source", "lang", text_or_empty("text").alias("text"))
     counted = docs.select("doc_id", "source", "lang", F.xxhash64("text").alias("h1"), F.md5("text").alias("h2"), tokencounts.words(F.col("text")).alias("v1"), tokencounts.words_and_marks(F.col("text")).alias("v2"))
-    counted = stage(counted, "token-counts").df
-    first = counted.groupBy("h1", "h2").agg(F.min("doc_id").alias("first"))
-    marked = stage(counted.join(first, ["h1", "h2"]).select("source", "lang", "v1", "v2", (F.col("doc_id") > F.col("first")).alias("copy")), "token-copies").df
+    # A row per text, source and language, so that no text is a hot key of the join.
+    held = counted.groupBy("h1", "h2", "source", "lang").agg(F.any_value("v1").alias("v1"), F.any_value("v2").alias("v2"), F.count(F.lit(1)).alias("n"), F.min(F.coalesce("doc_id", F.lit(FAR))).alias("own"))
+    held = stage(held, "token-counts").df
+    first = held.groupBy("h1", "h2").agg(F.min("own").alias("first"))
+    marked = stage(held.join(first, ["h1", "h2"]).withColumn("keep", (F.col("own") == F.col("first")).cast("long")), "token-copies").df
     store = tokencounts.RollupStore(spark, new_path(spark, "token-store"))
-    v1, v2 = F.col("v1"), F.col("v2")
+    v1, v2, copies = F.col("v1"), F.col("v2"), F.col("n") - F.col("keep")
     batches = {
-        "1-insert": tokencounts.insert(marked, "words-1", v1),
-        "2-delete": tokencounts.delete(marked.filter("copy"), "words-1", v1),
-        "3-revise": tokencounts.revise(marked.filter("not copy"), ("words-1", v1), ("words-2", v2)),
+        "1-insert": tokencounts.insert(marked, "words-1", v1, F.col("n")),
+        "2-delete": tokencounts.delete(marked.filter(copies > 0), "words-1", v1, copies),
+        "3-revise": tokencounts.revise(marked.filter("keep = 1"), ("words-1", v1), ("words-2", v2)),
     }
     for name in ("1-insert", "2-delete", "1-insert", "3-revise", "3-revise"):
         store.commit(name, batches[name])
@@ -78,7 +84,7 @@ def op8_simhash_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def op9_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Every document with its validated numbers, dates and addresses replaced."""
-    out = pii.pseudonymise(table(spark, sf_dir, "documents").select("doc_id", "text"), "text", pii.Settings())
+    out = pii.pseudonymise(table(spark, sf_dir, "documents").select("doc_id", "text"), "text", pii.of_session(spark))
     return out.select("doc_id", "n_replaced", "kinds", "text")
 
 
