@@ -20,8 +20,11 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from edgeconn.llm.common import blocks, keep_rows, text_or_empty
+from edgeconn.plans.staging import stage
 
 MULT = 0x9E3779B97F4A7C15
+#: Pairs of a gram in a text and a gram in a probe that are looked at together.
+HITS = 1 << 20
 
 
 @dataclass(frozen=True)
@@ -173,13 +176,22 @@ def find(probes: Probes, texts: list[str]) -> list[tuple[int, int, int, int, int
     if not len(near):
         return out
     n = probes.count[at]
-    row = np.repeat(probes.first[at], n) + np.arange(n.sum()) - np.repeat(np.cumsum(n) - n, n)
-    no, diagonal = probes.no[row], np.repeat(near, n) - probes.pos[row]
     w = probes.band
-    doc = np.searchsorted(begin, np.repeat(near, n), "right") - 1
-    cell = (diagonal - begin[doc] + s.probe) // w  # counted from the text's start, never negative
-    cells = int(cell.max()) + 2
-    key, hits = np.unique((no * len(texts) + doc) * cells + cell, return_counts=True)
+    cells = (int(np.diff(begin).max()) + s.probe) // w + 3
+    key, hits = np.zeros(0, np.int64), np.zeros(0, np.int64)
+    ends = np.cumsum(n)
+    lo = 0
+    while lo < len(near):  # a part of the hits at a time: repetitive texts have many a gram
+        hi = max(lo + 1, int(np.searchsorted(ends, (ends[lo - 1] if lo else 0) + HITS, "right")))
+        many, here = n[lo:hi], near[lo:hi]
+        row = np.repeat(probes.first[at[lo:hi]], many) + np.arange(many.sum()) - np.repeat(np.cumsum(many) - many, many)
+        place = np.repeat(here, many)
+        doc = np.searchsorted(begin, place, "right") - 1
+        cell = (place - probes.pos[row] - begin[doc] + s.probe) // w  # counted from the text's start, never negative
+        new, count = np.unique((probes.no[row] * len(texts) + doc) * cells + cell, return_counts=True)
+        both, where = np.unique(np.r_[key, new], return_inverse=True)
+        key, hits = both, np.bincount(where, np.r_[hits, count], len(both)).astype(np.int64)
+        lo = hi
     # a band is two neighbouring cells; each cell belongs to two bands
     both = hits.copy()
     follows = np.flatnonzero(np.diff(key) == 1)
@@ -206,23 +218,43 @@ def _verify(probes: Probes, parts, d: int, p: int, low: int, high: int, out: lis
     codes, place = parts[d]
     k, m = int(probes.budget[p]), int(probes.size[p])
     probe = probes.codes[p]
+    whole, wanted = memoryview(codes).cast("B"), probe.tobytes()
     todo = [(max(0, low - k), min(len(codes), high + m + k + 1))]
     while todo:
         a, z = todo.pop()
         if z - a < m - k:
             continue
-        exact = codes[a:z].tobytes().find(probe.tobytes())
-        if exact >= 0 and exact % 4 == 0:
-            edits, start, end = 0, exact // 4, exact // 4 + m
-        elif k or exact >= 0:
-            edits, start, end = align(codes[a:z], probe, low - k - a, high + k - a)
-        else:
+        spans = [(a + x, a + x + m) for x in _apart(_places(bytes(whole[4 * a : 4 * z]), wanted), m)]
+        if spans:  # verbatim places first; edited ones in what they leave
+            out += [(d, p, int(place[x]), int(place[y - 1]) + 1, 0) for x, y in spans]
+            todo += list(zip([a, *(y for _, y in spans)], [*(x for x, _ in spans), z], strict=True)) if k else []
+            continue
+        if not k:
             continue
+        edits, start, end = align(codes[a:z], probe, low - k - a, high + k - a)
         if edits <= k and end > start:
             out.append((d, p, int(place[a + start]), int(place[a + end - 1]) + 1, edits))
             todo += [(a, a + start), (a + end, z)]
 
 
+def _places(text: bytes, part: bytes):
+    """Places, in code points, where a part of a text begins."""
+    at = text.find(part)
+    while at >= 0:
+        if at % 4 == 0:
+            yield at // 4
+        at = text.find(part, at + 1)
+
+
+def _apart(places, size: int):
+    """Of rising places those that are ``size`` or more from the one before."""
+    free = 0
+    for x in places:
+        if x >= free:
+            yield x
+            free = x + size
+
+
 def without_repeats(probes: Probes, found: list) -> list:
     """Places of short probes go where a long probe of the item was found."""
     whole: dict[tuple, list] = {}
@@ -248,28 +280,35 @@ def leaks(docs: DataFrame, benchmark: DataFrame, s: Settings | None = None, id_c
     kind = docs.schema[id_col].dataType.simpleString()
     schema = f"id {kind}, item long, probe_size int, start long, end long, edits int"
     texts = docs.select(F.col(id_col).alias("id"), text_or_empty("text").alias("text"))
-    found = [_search(texts, part, s, schema) for part in _passes(benchmark, s, item_col)]
-    out = found[0]
-    for more in found[1:]:
-        out = out.unionByName(more)
+    out = None
+    for part, alone in _passes(benchmark, s, item_col):
+        found = _search(texts, part, s, schema)
+        if not alone:  # written before the next part of the benchmark is read
+            found = stage(found, "leaks").df
+        out = found if out is None else out.unionByName(found)
     return out
 
 
-def _passes(benchmark: DataFrame, s: Settings, item_col: str) -> list[list[tuple[int, str]]]:
-    """The items in parts of about ``broadcast_chars``; mostly one."""
+def _passes(benchmark: DataFrame, s: Settings, item_col: str) -> Iterator[tuple[list[tuple[int, str]], bool]]:
+    """The items in parts of about ``broadcast_chars``, read one at a time, and
+    whether there is one alone, as mostly."""
     if not s.edits < 1 / s.q:
         raise ValueError("the lemma's bound is positive only for an edit share under 1 / q")
     items = benchmark.select(F.col(item_col).cast("long").alias("item"), F.col("text").alias("text")).filter(F.col("text").isNotNull())
     chars = items.agg(F.coalesce(F.sum(F.length("text")), F.lit(0))).first()[0]
     n = max(1, -(-chars // s.broadcast_chars))
-    parts = (items.filter(F.pmod(F.xxhash64("item", "text"), F.lit(n)) == i).collect() for i in range(n))
-    return [sorted((r.item, r.text) for r in part) for part in parts]
+    for i in range(n):
+        part = items.filter(F.pmod(F.xxhash64("item", "text"), F.lit(n)) == i).collect()
+        yield sorted(((r.item, r.text) for r in part), key=lambda x: (x[0] is None, x[0] or 0, x[1])), n == 1
 
 
 def without_leaks(docs: DataFrame, benchmark: DataFrame, s: Settings | None = None, item_col: str = "item_id") -> DataFrame:
-    """Rows of ``docs``, all columns, in which no probe of an item is found."""
+    """Rows of ``docs``, all columns, in which no probe of an item is found.
+
+    Null and empty texts hold nothing and stay; repeated rows stay or go
+    together; ids are not read; without items every row stays."""
     s = s or Settings()
-    for part in _passes(benchmark, s, item_col):
+    for part, alone in _passes(benchmark, s, item_col):
         sent = docs.sparkSession.sparkContext.broadcast(part)
 
         def make(sent=sent):
@@ -282,6 +321,8 @@ def without_leaks(docs: DataFrame, benchmark: DataFrame, s: Settings | None = No
             return test
 
         docs = keep_rows(docs, make, limit=2 << 20)
+        if not alone:
+            docs = stage(docs, "without-leaks").df
     return docs
 
 
