@@ -2,10 +2,12 @@
 
 A k-mer of characters is a closed syncmer where the least of its inner s-mers
 (by hash) is its first or its last. That depends on the k-mer's own characters
-alone, so an edit elsewhere never changes which anchors a passage has. Of a
-text's anchors the ``keep`` of least hash, each with its place, make the
-fingerprint; two fingerprints are alike by the share of their joint sketch
-that they have in common at a consistent shift.
+alone, so an edit elsewhere never changes which anchors a passage has. A
+fingerprint holds a text's anchors with their places: all of them up to
+``keep``, and of longer texts those whose hash lies under a bound that leaves
+at least ``keep`` and at least one of ``share``. Two fingerprints are alike by
+the share of their anchors, under the lesser bound of both, that they have in
+common at a consistent shift.
 """
 
 from __future__ import annotations
@@ -20,13 +22,15 @@ from pyspark.sql import functions as F
 
 @dataclass(frozen=True)
 class Settings:
-    """k, s: lengths of anchors and inner s-mers. keep: anchors of a
-    fingerprint. slack: how far places may differ from the common shift, in
-    characters."""
+    """k, s: lengths of anchors and inner s-mers. keep, share: a fingerprint
+    has all of up to ``keep`` anchors, and of more the ``keep`` of least hash
+    or one in ``share``, whichever is more. slack: how far places may differ
+    from the common shift, in characters."""
 
     k: int = 16
     s: int = 6
-    keep: int = 64
+    keep: int = 128
+    share: int = 8
     slack: int = 64
 
 
@@ -67,59 +71,51 @@ def anchors(text: str, s: Settings):
 
 
 def sketch(text: str, s: Settings):
-    """The kept anchors: 32-bit hashes in rising order, first place of each."""
+    """The kept anchors: 32-bit hashes in rising order, first place of each,
+    and the bound under which every anchor's hash is kept."""
     import numpy as np
 
     h, at = anchors(text, s)
-    h = h >> np.uint64(32)
-    if len(h) > 4 * s.keep:  # the kept ones are among those of least hash
-        cut = np.partition(h, 4 * s.keep - 1)[4 * s.keep - 1]
-        near = h <= cut
-        least = _first(h[near], at[near], s.keep)
-        if len(least[0]) == s.keep:
-            return least
-    return _first(h, at, s.keep)
-
-
-def _first(h, at, keep: int):
-    import numpy as np
-
-    u, first = np.unique(h, return_index=True)
-    return u[:keep].astype(np.uint32), at[first[:keep]]
+    u, first = np.unique(h >> np.uint64(32), return_index=True)
+    bound = 1 << 32 if len(u) <= s.keep else max((1 << 32) // s.share, int(u[s.keep - 1]) + 1)
+    n = int(np.searchsorted(u, bound))
+    return u[:n].astype(np.uint32), at[first[:n]], bound
 
 
 def encode(sk) -> str:
-    """Fixed text form: eight hex digits and the place of each kept anchor."""
-    return " ".join(f"{h:08x}:{p:x}" for h, p in zip(sk[0].tolist(), sk[1].tolist(), strict=True))
+    """Fixed text form: the bound, then eight hex digits and the place of each
+    kept anchor."""
+    return " ".join([f"{sk[2]:x}", *(f"{h:08x}:{p:x}" for h, p in zip(sk[0].tolist(), sk[1].tolist(), strict=True))])
 
 
 def decode(text: str):
     import numpy as np
 
-    pairs = [x.split(":") for x in text.split()]
-    return np.array([int(a, 16) for a, _ in pairs], np.uint32), np.array([int(b, 16) for _, b in pairs], np.int64)
+    bound, *pairs = text.split()
+    pairs = [x.split(":") for x in pairs]
+    return np.array([int(a, 16) for a, _ in pairs], np.uint32), np.array([int(b, 16) for _, b in pairs], np.int64), int(bound, 16)
 
 
 def likeness(a, b, s: Settings) -> float:
     """Share of the joint sketch in both at the commonest shift, 0 to 1.
 
-    Among the least ``keep`` hashes of both sketches together, those in both
-    whose places differ by the commonest difference, within ``slack``, count.
-    Equal sketches give 1, two empty ones too; an empty and another give 0.
+    Of the anchors under the lesser bound, which both sketches hold whole,
+    those in both whose places differ by the commonest difference, within
+    ``slack``, count. Equal sketches give 1, two empty ones too; an empty and
+    another give 0.
     """
     import numpy as np
 
-    (ha, pa_), (hb, pb) = a, b
+    bound = min(a[2], b[2])
+    (ha, pa_), (hb, pb) = ((x[0][: np.searchsorted(x[0], bound)], x[1]) for x in (a, b))
     if not len(ha) or not len(hb):
         return float(len(ha) == len(hb))
-    joint = np.union1d(ha, hb)[: s.keep]
-    both = np.intersect1d(ha, hb)
-    both = both[both <= joint[-1]]
+    both = np.intersect1d(ha, hb, assume_unique=True)
     if not len(both):
         return 0.0
     shift = np.sort(pa_[np.searchsorted(ha, both)] - pb[np.searchsorted(hb, both)])
     most = int((np.searchsorted(shift, shift + s.slack, "right") - np.arange(len(shift))).max())
-    return most / len(joint)
+    return most / (len(ha) + len(hb) - len(both))
 
 
 def edited(text: str, following: str) -> str:
@@ -135,26 +131,24 @@ def edited_neighbours(docs: DataFrame, s: Settings | None = None, ranges: int |
 
     The next document is the next in descending doc_id; the last one's is the
     first. Null ids come last, equal ids go by text, a null text is empty, and
-    a sole document follows itself. Every text is moved once, to its id's
-    range; the first document of each range is also sent to the range before,
-    so that each range's last document meets its next.
+    a sole document follows itself. Ranges are cut by id and first characters,
+    so that rows of one id, or of none, are dealt too. Every text is moved
+    once, to its range; the first document of each range is also sent to the
+    range before, so that each range's last document meets its next.
     """
     s = s or Settings()
     spark = docs.sparkSession
-    rows = docs.select("doc_id", F.coalesce("doc_id", F.lit(-(1 << 63))).alias("k"), F.coalesce("text", F.lit("")).alias("text"))
+    rows = docs.select("doc_id", F.bitwise_not(F.coalesce(F.col("doc_id").cast("long"), F.lit(-(1 << 63)))).alias("r"), F.coalesce("text", F.lit("")).alias("text")).withColumn("p", F.substring("text", 1, 32))
     n = ranges or max(1, int(spark.conf.get("spark.sql.shuffle.partitions")) * 2)
-    marks = rows.select(F.percentile_approx("k", [i / n for i in range(1, n)] if n > 1 else [0.5], 10 * n)).first()[0] or []
-    bounds = sorted(set(marks), reverse=True) if n > 1 else []  # a range per bound: ids over it, falling
-    place = _pick(bounds, 0, len(bounds))
-    ranged = rows.withColumn("range", place)
-    heads = {r.range: r.head for r in ranged.groupBy("range").agg(F.max("k").alias("head")).collect()}  # a row per range
-    order = sorted(heads)
-    before = spark.createDataFrame([(heads[r], order[i - 1]) for i, r in enumerate(order)], "k long, ghost int")  # the first range's head goes to the last
-    own = F.struct(F.col("range").alias("to"), F.lit(0).alias("ghost"))
-    extra = F.struct(F.coalesce("ghost", F.lit(-1)).alias("to"), F.lit(1).alias("ghost"))
-    known = ranged.join(F.broadcast(before), "k", "left")  # a row per range
-    sent = known.withColumn("go", F.explode(F.filter(F.array(own, extra), lambda x: x["to"] >= 0))).select("doc_id", "k", "text", "go.to", "go.ghost")
-    placed = sent.repartition(n, "to").sortWithinPartitions("to", "ghost", F.desc("k"), "text")
+    ranged = rows.select("r", "p").repartitionByRange(n, "r", "p")
+    heads = sorted((x.m.r, x.m.p) for x in ranged.groupBy(F.spark_partition_id()).agg(F.min(F.struct("r", "p")).alias("m")).collect() if x.m)  # a row per range
+    own, is_head = _range_of(heads[1:], heads[0] if heads else (0, ""))
+    go = F.filter(
+        F.array(F.struct(own.alias("to"), F.lit(0).alias("ghost")), F.struct(F.when(is_head, F.pmod(own - 1, F.lit(max(1, len(heads))))).otherwise(-1).alias("to"), F.lit(1).alias("ghost"))),
+        lambda x: x["to"] >= 0,
+    )
+    sent = rows.select("doc_id", "r", "p", "text", F.explode(go).alias("go")).select("doc_id", "r", "p", "text", "go.to", "go.ghost")
+    placed = sent.repartition(n, "to").sortWithinPartitions("to", "ghost", "r", "p", "text").drop("r", "p")
     kind = docs.schema["doc_id"].dataType.simpleString()
     schema = f"id {kind}, n_chars long, edited_sha256 string, fingerprint string, edited_fingerprint string, near_edited double, near_next double"
 
@@ -196,9 +190,17 @@ def edited_neighbours(docs: DataFrame, s: Settings | None = None, ranges: int |
     return placed.mapInArrow(run, schema)
 
 
-def _pick(bounds: list[int], lo: int, hi: int):
-    """Range of k among falling bounds, as a balanced tree of comparisons."""
-    if lo == hi:
-        return F.lit(lo)
-    mid = (lo + hi) // 2
-    return F.when(F.col("k") >= bounds[mid], _pick(bounds, lo, mid)).otherwise(_pick(bounds, mid + 1, hi))
+def _range_of(bounds: list[tuple[int, str]], first: tuple[int, str]):
+    """(range, whether it begins the range) of the key (r, p): how many of the
+    rising bounds are not over it, sought among every so manieth bound and
+    then among those between."""
+    key = F.struct("r", "p")
+    made = lambda xs: F.array(*(F.struct(F.lit(r).cast("long").alias("r"), F.lit(p).alias("p")) for r, p in xs))
+    if not bounds:
+        return F.lit(0), key == made([first])[0]
+    step = max(1, int(len(bounds) ** 0.5))
+    under = lambda xs: F.size(F.filter(xs, lambda b: b <= key))
+    coarse = under(made(bounds[::step]))
+    fine = under(F.slice(made(bounds), (coarse - 1) * step + 1, step))
+    own = F.when(coarse == 0, F.lit(0)).otherwise((coarse - 1) * step + fine)
+    return own, F.element_at(made([first, *bounds]), own + 1) == key
