@@ -24,12 +24,19 @@ ROUNDS = 10
 
 @dataclass(frozen=True)
 class Settings:
-    """key: secret of the permutation; give your own and keep it."""
+    """key: secret of the permutation. The default is public: it links equal
+    values but hides nothing; give your own and keep it (``of_session``)."""
 
     key: bytes = b"change this key"
     kinds: tuple[str, ...] = ("secret", "email", "iban", "ip", "date", "card", "phone", "ssn")
 
 
+def of_session(spark, conf: str = "spark.edgeconn.pii.key") -> Settings:
+    """Settings with the key that the session's configuration holds, if any."""
+    key = spark.conf.get(conf, None)
+    return Settings(key=key.encode()) if key else Settings()
+
+
 class Feistel:
     """Keyed permutation of 0..size-1: a balanced network on the least even
     number of bits that holds the domain, walked until it lands inside."""
@@ -109,12 +116,12 @@ class Pseudonymiser:
         forms = {
             "secret": r"(?i:(?<![A-Za-z0-9])(?:token|secret|api_?key|password)[\"']?\s*[=:]\s*[\"']?)(?P<secret>[0-9a-f]{20,}|[0-9A-F]{20,})(?![0-9A-Za-z])",
             "email": r"(?<![A-Za-z0-9._%+-])(?P<email>[A-Za-z0-9._%+-]+)@(?:[A-Za-z0-9-]+\.)+[A-Za-z]{2,}",
-            "iban": r"(?<![A-Za-z0-9])(?P<iban>[A-Z]{2}\d{2}(?: ?[A-Z0-9]{4}){2,7}(?: ?[A-Z0-9]{1,3})?)(?![A-Za-z0-9])",
-            "ip": r"(?<![\w.])(?P<ip>\d{1,3}(?:\.\d{1,3}){3})(?!\w|\.\d)",
-            "date": r"(?<![\w./-])(?P<date>\d{4}-\d{2}-\d{2}|\d{4}/\d{2}/\d{2}|\d{1,2}/\d{1,2}/\d{4}|\d{1,2}\.\d{1,2}\.\d{4})(?![\w/-]|\.\d)",
-            "card": rf"(?<![\w.-])(?P<card>\d(?:{sep}\d){{12,18}})(?![\w-]|\.\d)",
-            "phone": r"(?<![\w.-])(?P<phone>(?:\+1[ .-]?)?\(\d{3}\)[ .-]?\d{3}[ .-]\d{4}|\+1[ .-]?\d{3}[ .-]\d{3}[ .-]\d{4}|\d{3}[.-]\d{3}[.-]\d{4})(?![\w-])",
-            "ssn": r"(?<![\w.-])(?P<ssn>\d{3}-\d{2}-\d{4})(?![\w-])",
+            "iban": r"(?<![A-Za-z0-9])(?P<iban>[A-Z]{2}[0-9]{2}(?: ?[A-Z0-9]{4}){2,7}(?: ?[A-Z0-9]{1,3})?)(?![A-Za-z0-9])",
+            "ip": r"(?<![\w.])(?P<ip>[0-9]{1,3}(?:\.[0-9]{1,3}){3})(?!\w|\.[0-9])",
+            "date": r"(?<![\w./-])(?P<date>[0-9]{4}-[0-9]{2}-[0-9]{2}|[0-9]{4}/[0-9]{2}/[0-9]{2}|[0-9]{1,2}/[0-9]{1,2}/[0-9]{4}|[0-9]{1,2}\.[0-9]{1,2}\.[0-9]{4})(?![\w/-]|\.[0-9])",
+            "card": rf"(?<![\w.-])(?P<card>[0-9](?:{sep}[0-9]){{12,18}})(?![\w-]|\.[0-9])",
+            "phone": r"(?<![\w.-])(?P<phone>(?:\+1[ .-]?)?\([0-9]{3}\)[ .-]?[0-9]{3}[ .-][0-9]{4}|\+1[ .-]?[0-9]{3}[ .-][0-9]{3}[ .-][0-9]{4}|[0-9]{3}[.-][0-9]{3}[.-][0-9]{4})(?![\w-])",
+            "ssn": r"(?<![\w.-])(?P<ssn>[0-9]{3}-[0-9]{2}-[0-9]{4})(?![\w-])",
         }
         self.find = re.compile("|".join(forms[k] for k in s.kinds)).search
         self.one = {k: re.compile(forms[k]).match for k in s.kinds}
@@ -145,9 +152,12 @@ class Pseudonymiser:
         return _refill(v, new + str(luhn_digit(new)))
 
     def _phone(self, v: str) -> str | None:
-        d = _only(v)[-10:]
-        new = "".join(map(str, self.permute("phone", [int(c) for c in d], [10] * 10)))
-        return _refill(v, _only(v)[:-10] + new)
+        """Ten digits without an area or exchange of zeros, not all the same."""
+        ok = lambda x: any(x[:3]) and any(x[3:6]) and len(set(x)) > 1
+        d = [int(c) for c in _only(v)[-10:]]
+        if not ok(d):
+            return None
+        return _refill(v, _only(v)[:-10] + "".join(map(str, self.permute("phone", d, [10] * 10, ok))))
 
     def _ssn(self, v: str) -> str | None:
         ok = lambda x: x[0] not in (0, 666) and x[0] < 900 and x[1] > 0 and x[2] > 0
@@ -269,17 +279,20 @@ class Pseudonymiser:
         return sizes
 
 
-def pseudonymise(docs: DataFrame, text_col: str = "text", s: Settings | None = None) -> DataFrame:
+def pseudonymise(docs: DataFrame, text_col: str = "text", s: Settings | None = None, report: bool = True) -> DataFrame:
     """All columns of ``docs`` with the text replaced, plus n_replaced int and
-    kinds array<string>; a column of ``docs`` of those names gives way.
+    kinds array<string>; a column of ``docs`` of those names gives way. Without
+    ``report`` those two are left out and every column of ``docs`` stays.
 
-    One row per row; a null text stays null. Lengths of texts do not change.
-    Numbers that fail their validation stay as they are.
+    One row per row; a null text stays null, an empty one empty, repeated rows
+    are replaced alike and an empty table stays empty. Texts are read whole;
+    their lengths do not change. Digits are those of ASCII. Numbers that fail
+    their validation stay as they are.
     """
     s = s or Settings()
-    extra = ("n_replaced", "kinds")
+    extra = ("n_replaced", "kinds") if report else ()
     base = docs.drop(*extra)
-    schema = [f"`{f.name}` {f.dataType.simpleString()}" for f in base.schema.fields] + ["n_replaced int", "kinds array<string>"]
+    schema = [f"`{f.name}` {f.dataType.simpleString()}" for f in base.schema.fields] + (["n_replaced int", "kinds array<string>"] if report else [])
     names = base.columns
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -287,6 +300,7 @@ def pseudonymise(docs: DataFrame, text_col: str = "text", s: Settings | None = N
         for b in blocks(batches, text_col):
             done = [make.text(t) if t is not None else (None, []) for t in b.column(text_col).to_pylist()]
             cols = [pa.array([t for t, _ in done], pa.string()) if n == text_col else b.column(n) for n in names]
-            yield pa.RecordBatch.from_arrays([*cols, pa.array([len(k) for _, k in done], pa.int32()), pa.array([k for _, k in done], pa.list_(pa.string()))], [*names, *extra])
+            told = [pa.array([len(k) for _, k in done], pa.int32()), pa.array([k for _, k in done], pa.list_(pa.string()))] if report else []
+            yield pa.RecordBatch.from_arrays([*cols, *told], [*names, *extra])
 
     return base.mapInArrow(run, ", ".join(schema))
