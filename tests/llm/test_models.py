@@ -182,21 +182,50 @@ def test_sentencepiece_query(spark, small):
 
 def test_pipeline_stages(spark, small):
     import corpus_pipeline as C
-    from edgeconn.llm.simhash import NEAR_COPIES, near_duplicates
 
     docs = spark.read.parquet(f"{small}/documents.parquet")
     assert [n for n, _ in C.STAGES] == ["toxicity", "simhash_near_dedup", "benchmark_decontamination", "pii", "sentencepiece"]
-    kept = C.drop_near_copies(spark, docs, small)
-    comp = {r.id: r.component for r in near_duplicates(docs, NEAR_COPIES).collect()}
-    assert sorted(r.doc_id for r in kept.collect()) == sorted(i for i, c in comp.items() if i == c)
-    texts = {r.doc_id: r.text for r in docs.collect()}
-    first = {}
-    for i in sorted(texts):
-        first.setdefault(texts[i], i)
-    assert all(comp[i] == comp[first[t]] for i, t in texts.items())  # equal texts are one group
-    for step in (C.drop_toxic, C.drop_leaks, C.hide_private):
+    for step in (C.drop_toxic, C.drop_near_copies, C.drop_leaks, C.hide_private):
         out = step(spark, docs, small)
         assert out.columns == docs.columns and out.count() <= docs.count()
     last = C.run(spark, small)
     assert last.columns[0] == "doc_id" and 0 < last.count() <= docs.count()
     assert C.run(spark, small).exceptAll(last).isEmpty()
+
+
+def test_pipeline_equals_its_operators_one_by_one(spark, small):
+    """Every stage's decisions, made text by text without Spark."""
+    import corpus_pipeline as C
+    from edgeconn.llm import decontaminate
+    from tests.llm.test_nearcopies import brute
+
+    read = lambda n: spark.read.parquet(f"{small}/{n}.parquet")
+    docs = {r.doc_id: r.text or "" for r in read("documents").collect()}
+    model = toxicity.train(read("documents"), read("labels"))
+    p = toxicity.probabilities(model, toxicity.features(model, [toxicity.fold(t) for t in docs.values()])) if model.weights else [0] * len(docs)
+    docs = {i: t for (i, t), x in zip(docs.items(), p, strict=True) if x < 0.5}
+    stay = set(brute(docs.items()).values())
+    docs = {i: t for i, t in docs.items() if i in stay}
+    probes = decontaminate.Probes([(r.item_id, r.text) for r in read("benchmark").collect()], decontaminate.Settings())
+    docs = {i: KEYED.text(t)[0] for i, t in docs.items() if not decontaminate.find(probes, [t])}
+    rows = {r.doc_id: r for r in C.run(spark, small).collect()}
+    assert set(rows) == set(docs)
+    for i, t in docs.items():
+        ids = MODEL.sp.encode(t)
+        assert rows[i].n_tokens == len(ids) and bytes(rows[i].ids) == b"".join(x.to_bytes(2, "little") for x in ids)
+        assert rows[i].decoded_sha256 == hashlib.sha256(MODEL.sp.decode(ids).encode()).hexdigest()
+
+
+def test_stages_on_odd_tables(spark, small):
+    import corpus_pipeline as C
+
+    rows = [(1, None, "x"), (2, "", "y"), (3, "long " * 60000, "z"), (3, "long " * 60000, "z"), (None, "ip 8.8.8.8", "z"), (4, "ip 8.8.8.8 again", "k")]
+    docs = spark.createDataFrame([(*r, "en", "s", 5) for r in rows], "doc_id long, text string, n_replaced string, lang string, source string, n_chars long")
+    for _, step in C.STAGES[:-1]:
+        out = step(spark, docs, small)
+        assert out.columns == docs.columns
+        assert step(spark, docs.filter("false"), small).count() == 0
+        names = sorted(str(r.doc_id) for r in out.collect())
+        assert names == (["1", "3", "3", "4", "None"] if step is C.drop_near_copies else ["1", "2", "3", "3", "4", "None"])
+    ids = C.to_ids(spark, docs, small)
+    assert ids.count() == 6 and C.to_ids(spark, docs.filter("false"), small).count() == 0
