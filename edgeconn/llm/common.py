@@ -66,3 +66,4 @@ def blocks(batches: Iterator[pa.RecordBatch], text: str = "text", limit: int = B
             stop = max(start + 1, int(np.searchsorted(ends, base + limit, "right")))
             yield batch.slice(start, stop - start)
             start = stop
+    pa.default_memory_pool().release_unused()  # workers are kept for other stages

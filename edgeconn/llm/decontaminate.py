@@ -23,6 +23,8 @@ from edgeconn.llm.common import blocks, keep_rows, text_or_empty
 from edgeconn.plans.staging import stage
 
 MULT = 0x9E3779B97F4A7C15
+#: Bytes of text that a worker searches at once.
+BLOCK = 1 << 19
 #: Pairs of a gram in a text and a gram in a probe that are looked at together.
 HITS = 1 << 20
 
@@ -320,7 +322,7 @@ def without_leaks(docs: DataFrame, benchmark: DataFrame, s: Settings | None = No
 
             return test
 
-        docs = keep_rows(docs, make, limit=2 << 20)
+        docs = keep_rows(docs, make, limit=BLOCK)
         if not alone:
             docs = stage(docs, "without-leaks").df
     return docs
@@ -331,7 +333,7 @@ def _search(texts: DataFrame, items: list, s: Settings, schema: str) -> DataFram
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         probes = Probes(sent.value, s)
-        for b in blocks(batches, "text", 2 << 20):
+        for b in blocks(batches, "text", BLOCK):
             got = without_repeats(probes, find(probes, b.column("text").to_pylist()))
             ids = b.column("id").take(pa.array([g[0] for g in got], pa.int64()))
             cols = [[probes.item[g[1]] for g in got], [int(probes.size[g[1]]) for g in got], *([g[i] for g in got] for i in (2, 3, 4))]
