@@ -8,7 +8,10 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from edgeconn.operators import solve as S
-from edgeconn.operators.graph import Graph
+from edgeconn.operators import sparse as K
+from edgeconn.operators.graph import Graph, numbered
+from edgeconn.operators.mincut import DENSE_VERTICES
+from edgeconn.plans.staging import stage
 
 
 @dataclass(frozen=True)
@@ -129,20 +132,31 @@ def min_cut_cactus(g: Graph, labels: DataFrame, kernel_w: DataFrame) -> tuple[Da
     low = g.degrees.filter(F.col("deg") == delta).select("v")
 
     def run(pdf):
+        import numpy as np
         import pandas as pd
 
-        w, names = S.dense(list(zip(pdf["cu"], pdf["cv"], pdf["mult"], strict=True)))
-        value, _ = S.solve(w)
+        if not len(pdf):  # the contraction left one vertex: all minimum cuts are single vertices
+            return pd.DataFrame(columns=["node", "comp", "a", "b", "cycle_id", "mult", "value"])
+        kernel, names = K.from_rows(pdf["cu"], pdf["cv"], pdf["mult"])
+        value, _ = K.solve_scan(kernel)
         rows = []
         if value <= delta:
+            # What is connected by more than the minimum no minimum cut separates.
+            kernel, label = K.shrink(kernel, value + 1)
+            group = {int(names[i]): int(names[label == c].min()) for c in range(kernel[0]) for i in np.flatnonzero(label == c)}
+            names = np.array([int(names[label == c].min()) for c in range(kernel[0])])
+            if len(names) > DENSE_VERTICES:
+                raise ValueError(f"{len(names)} groups of kernel vertices are too many for one task")
+            w = S.square(kernel)
             c = build_cactus(w, [int(x) for x in names], value)
-            rows += [(i, k, None, None, None, None, value) for i, node in enumerate(c.nodes) for k in (sorted(node) or [None])]
+            inside: dict[int, list[int]] = {}
+            for v, head in group.items():
+                inside.setdefault(head, []).append(v)
+            rows += [(i, k, None, None, None, None, value) for i, node in enumerate(c.nodes) for k in (sorted(x for head in node for x in inside[head]) or [None])]
             rows += [(None, None, a, b, cyc, m, value) for a, b, cyc, m in c.edges]
         return pd.DataFrame(rows, columns=["node", "comp", "a", "b", "cycle_id", "mult", "value"]).astype({c: "Int64" for c in ("node", "comp", "a", "b", "cycle_id", "mult")})
 
     spark = g.vertices.sparkSession
-    from edgeconn.plans.staging import stage
-
     made = stage(kernel_w.groupBy().applyInPandas(run, "node int, comp long, a int, b int, cycle_id int, mult int, value double"), "cactus").df
     value = made.agg(F.min("value")).first()[0]
     edges = made.filter("a IS NOT NULL").select("a", "b", "cycle_id", "mult")
@@ -156,9 +170,9 @@ def min_cut_cactus(g: Graph, labels: DataFrame, kernel_w: DataFrame) -> tuple[Da
         sizes = base.groupBy("node").count()
         degree = edges.select(F.explode(F.array("a", "b")).alias("node")).groupBy("node").agg(F.count(F.lit(1)).alias("ends"))
         shared = low.join(base, "v").join(sizes, "node").join(degree, "node", "left").filter((F.col("count") > 1) | (F.coalesce("ends", F.lit(0)) > 2))
-        rank = shared.select("v", "node").orderBy("v").toPandas()  # vertices of least degree in one node, each a cactus node of its own
         first = int(made.agg(F.coalesce(F.max("node"), F.lit(0))).first()[0]) + 1
-        hung = spark.createDataFrame([(int(v), first + i, int(n)) for i, (v, n) in enumerate(zip(rank["v"], rank["node"], strict=True))], "v long, node int, old int")
+        hung = numbered(shared.select("v", F.col("node").alias("old")), "v", "no").select("v", (F.col("no") + first).cast("int").alias("node"), "old")
+        hung = stage(hung, "cactus-leaves").df
         base = base.join(hung.select("v", F.col("node").alias("own")), "v", "left").select("v", F.coalesce("own", "node").alias("node"))
         edges = edges.unionByName(hung.select(F.col("node").alias("a"), F.col("old").alias("b"), F.lit(None).cast("int").alias("cycle_id"), F.lit(2).alias("mult")))
     nodes = base.groupBy("node").agg(F.sort_array(F.collect_list("v")).alias("members"))

@@ -7,12 +7,18 @@ join partition. Nothing but two scalars per round reaches the driver.
 
 from __future__ import annotations
 
+import math
+
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from edgeconn.plans.staging import stage
 
 
+#: Pairs of one group that a single task may hold.
+TASK_ROWS = 20_000_000
+
+
 def _step(edges: DataFrame, by: list[str], keep_larger: bool) -> DataFrame:
     """Point the chosen neighbours of each vertex at its least neighbour.
 
@@ -92,16 +98,19 @@ def local_labels(a, b):
         label = new
 
 
-def components(edges: DataFrame, by: tuple[str, ...] = ("rep",), strategy: str = "auto", src: str = "src", dst: str = "dst", task_rows: int = 20_000_000, seed: int = 1, rate: float = 0.25) -> DataFrame:
+def components(edges: DataFrame, by: tuple[str, ...] = ("rep",), strategy: str = "auto", src: str = "src", dst: str = "dst", task_rows: int | None = None, seed: int = 1, rate: float | None = None) -> DataFrame:
     """(*by, v, comp): least vertex reachable, for every vertex with an edge.
 
     ``local``: one task per value of ``by``; for pairs that fit a task.
     ``star``: star contractions across the cluster. ``sampled``: components of
-    a share ``rate`` of the edges, then of those edges alone that cross them.
-    ``auto``: local while the pairs of the largest group number under
-    ``task_rows`` (counted), star beyond.
+    a share ``rate`` of the edges (one over the logarithm of their number if
+    not given), then of those edges alone that cross them. ``auto``: the pairs
+    are written once and counted; local while the largest group has at most
+    ``task_rows`` (``TASK_ROWS`` if not given), star beyond.
     """
     if strategy == "auto":
+        task_rows = TASK_ROWS if task_rows is None else task_rows
+        edges = stage(edges.select(*by, src, dst), "pairs").df
         most = edges.groupBy(*by).count().agg(F.max("count")).first()[0] or 0
         strategy = "local" if most <= task_rows else "star"
     kind = edges.schema[src].dataType.simpleString()
@@ -119,6 +128,8 @@ def components(edges: DataFrame, by: tuple[str, ...] = ("rep",), strategy: str =
     if strategy == "star":
         return star_components(edges, src, dst, list(by))
     if strategy == "sampled":
+        if rate is None:
+            rate = 1 / max(1.0, math.log(max(2, edges.count())))
         part = edges.filter(F.pmod(F.xxhash64(F.lit(seed), *by, src, dst), F.lit(1 << 20)) < int(rate * (1 << 20)))
         first = stage(star_components(part, src, dst, list(by)), "sampled").df
         a = first.withColumnsRenamed({"v": src, "comp": "ca"})

@@ -11,27 +11,28 @@ from edgeconn.operators.certificate import certificate
 from edgeconn.operators.components import components, with_singletons
 from edgeconn.operators.graph import Graph
 from edgeconn.operators.sample import edge_sample, k_out_draws
+from edgeconn.plans.staging import stage
 
 
 def _ends(draws: DataFrame) -> DataFrame:
     return draws.select("rep", F.col("v").alias("src"), F.col("nbr").alias("dst"))
 
 
-def k_out_labels(g: Graph, k: int = 2, reps: int = 1, seed: int = 1, strategy: str = "local", **how) -> DataFrame:
+def k_out_labels(g: Graph, k: int = 2, reps: int = 1, seed: int = 1, strategy: str = "auto", **how) -> DataFrame:
     """(rep, v, comp): contraction of the components of a k-out sample."""
     return with_singletons(components(_ends(k_out_draws(g, k, reps, seed, **how)), strategy=strategy), g.vertices, reps)
 
 
-def fused_labels(g: Graph, k: int = 2, reps: int = 1, seed: int = 1, p: float | None = None, strategy: str = "local", hashing: str = "md5") -> DataFrame:
+def fused_labels(g: Graph, k: int = 2, reps: int = 1, seed: int = 1, p: float | None = None, strategy: str = "auto", hashing: str = "md5", draw: str = "minhash") -> DataFrame:
     """(rep, v, comp) of the k-out sample together with a uniform edge sample,
     in one components run. Sampled edges come from all edges of the graph."""
-    pairs = _ends(k_out_draws(g, k, reps, seed, hashing=hashing)).unionByName(edge_sample(g, p, reps, seed, hashing).select("rep", "src", "dst"))
+    pairs = _ends(k_out_draws(g, k, reps, seed, draw=draw, hashing=hashing)).unionByName(edge_sample(g, p, reps, seed, hashing).select("rep", "src", "dst"))
     return with_singletons(components(pairs, strategy=strategy), g.vertices, reps)
 
 
-def sample_labels(g: Graph, reps: int = 1, seed: int = 1, p: float | None = None, strategy: str = "local") -> DataFrame:
+def sample_labels(g: Graph, reps: int = 1, seed: int = 1, p: float | None = None, strategy: str = "auto", hashing: str = "md5") -> DataFrame:
     """The uniform edge sample alone, without k-out (a baseline)."""
-    return with_singletons(components(edge_sample(g, p, reps, seed).select("rep", "src", "dst"), strategy=strategy), g.vertices, reps)
+    return with_singletons(components(edge_sample(g, p, reps, seed, hashing).select("rep", "src", "dst"), strategy=strategy), g.vertices, reps)
 
 
 def kernel_edges(g: Graph, labels: DataFrame) -> DataFrame:
@@ -48,15 +49,16 @@ def collapse(kernel: DataFrame, *by: str) -> DataFrame:
     return kernel.groupBy(*by, "cu", "cv").agg(F.count(F.lit(1)).alias("mult"))
 
 
-def certificate_contract(kernel: DataFrame, k: int, strategy: str = "merge") -> DataFrame:
+def certificate_contract(kernel: DataFrame, k: int, strategy: str = "merge", components_by: str = "auto") -> DataFrame:
     """(rep, v, comp) over kernel vertices: every edge outside a certificate of
     level k is contracted, which only loses cuts of more than k edges."""
+    kernel = stage(kernel, "certify").df
     inside = certificate(kernel, k, strategy)
-    outside = kernel.join(inside.select("rep", "eid"), ["rep", "eid"], "left_anti")
-    return components(outside, src="cu", dst="cv", strategy="local")
+    outside = kernel.join(inside, ["rep", "eid", "cu", "cv"], "left_anti")
+    return components(outside, src="cu", dst="cv", strategy=components_by)
 
 
-def contract_once(g: Graph, reps: int = 1, seed: int = 1, vertex_step: str = "k_out", edge_step: str = "uniform", k: int = 2, level: int | None = None) -> DataFrame:
+def contract_once(g: Graph, reps: int = 1, seed: int = 1, vertex_step: str = "k_out", edge_step: str = "uniform", k: int = 2, level: int | None = None, strategy: str = "auto", hashing: str = "md5", draw: str = "minhash") -> DataFrame:
     """(rep, v, comp) of one full contraction per repetition.
 
     edge_step ``uniform``: the fused sample; ``certificate``: k-out, then the
@@ -64,28 +66,30 @@ def contract_once(g: Graph, reps: int = 1, seed: int = 1, vertex_step: str = "k_
     vertex_step ``none`` leaves the uniform sample alone.
     """
     if vertex_step == "none":
-        return sample_labels(g, reps, seed)
+        return sample_labels(g, reps, seed, strategy=strategy, hashing=hashing)
     if edge_step == "uniform":
-        return fused_labels(g, k, reps, seed)
-    first = k_out_labels(g, k, reps, seed)
+        return fused_labels(g, k, reps, seed, strategy=strategy, hashing=hashing, draw=draw)
+    first = k_out_labels(g, k, reps, seed, strategy=strategy, hashing=hashing, draw=draw)
     if edge_step == "none":
         return first
-    again = certificate_contract(kernel_edges(g, first), level or 2 * g.profile["min_degree"]).select("rep", F.col("v").alias("comp"), F.col("comp").alias("top"))
+    first = stage(first, "first-labels").df
+    again = certificate_contract(kernel_edges(g, first), level or 2 * g.profile["min_degree"], components_by=strategy).select("rep", F.col("v").alias("comp"), F.col("comp").alias("top"))
     return first.join(again, ["rep", "comp"], "left").select("rep", "v", F.coalesce("top", "comp").alias("comp"))
 
 
 def widen(labels: DataFrame) -> DataFrame:
-    """(v, comps array<long> by rep, fp long): all labels of a vertex and their
-    fingerprint; as many entries as repetitions."""
+    """(v, comps array<long> by rep, fp struct of two longs): all labels of a
+    vertex, as many as repetitions, and a fingerprint of 128 bits, so that no
+    collision hides an edge at any number of vertices that can be had."""
     wide = labels.groupBy("v").agg(F.sort_array(F.collect_list(F.struct("rep", "comp"))).alias("x"))
-    return wide.select("v", F.col("x.comp").alias("comps"), F.xxhash64(F.col("x.comp")).alias("fp"))
+    return wide.select("v", F.col("x.comp").alias("comps"), F.struct(F.xxhash64(F.col("x.comp")).alias("a"), F.xxhash64(F.lit(1), F.col("x.comp")).alias("b")).alias("fp"))
 
 
 def inter_component_edges(edges: DataFrame, wide: DataFrame, mode: str = "fingerprint") -> DataFrame:
     """(eid, src, dst, cu, cv): edges whose ends differ in some repetition,
     with both label arrays.
 
-    ``fingerprint`` compares 8-byte fingerprints on all edges and fetches the
+    ``fingerprint`` compares 16-byte fingerprints on all edges and fetches the
     arrays for survivors alone; ``naive`` fetches them for every edge.
     """
     a = wide.select(F.col("v").alias("src"), F.col("comps").alias("cu"))
@@ -126,7 +130,7 @@ class Votes:
     threshold: int
 
 
-def merge_low_votes(g: Graph, wide: DataFrame, votes: DataFrame, r: int, strategy: str = "local") -> Votes:
+def merge_low_votes(g: Graph, wide: DataFrame, votes: DataFrame, r: int, strategy: str = "auto") -> Votes:
     """Contract the edges with fewer than r votes.
 
     Vertices with equal labels in all repetitions are merged by a grouping

@@ -7,6 +7,7 @@ import math
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from edgeconn.operators.components import components
 from edgeconn.plans.staging import stage
 
 
@@ -53,7 +54,7 @@ def ball_growth(draws: DataFrame, radius: int, centers: DataFrame | None = None)
     i and in at most i steps. Each step is a join of the outermost level with
     the draws, less what was reached before."""
     out = draws.select("rep", F.col("v").alias("at"), F.col("nbr").alias("to")).distinct()
-    start = (centers.join(out.select("rep").distinct(), how="cross") if centers is not None else out.select("rep", F.col("at").alias("v")).distinct()).select("rep", "v")  # repetitions: few rows
+    start = (centers.crossJoin(F.broadcast(out.select("rep").distinct())) if centers is not None else out.select("rep", F.col("at").alias("v")).distinct()).select("rep", "v")  # repetitions: few rows
     seen = stage(start.select("rep", "v", F.col("v").alias("at"), F.lit(0).alias("i")), "ball").df
     for i in range(1, radius + 1):
         edge = seen.filter(F.col("i") == i - 1).join(out, ["rep", "at"]).select("rep", "v", F.col("to").alias("at")).distinct()
@@ -118,11 +119,14 @@ def low_diameter_cover(draws: DataFrame, n: int, delta: int, c: float = 4.0, see
     for sample in [open_first, draws] if mode == "staged" else [draws]:
         sides = stage(sample.select("rep", ends.alias("e")).select("rep", "e.a", "e.b").distinct(), "cover-edges").df
         tree = _spread(tree, sides, radius)
-    while True:
-        alone = verts.join(tree.select("rep", "v"), ["rep", "v"], "left_anti")
-        first = stage(alone.groupBy("rep").agg(F.min(F.struct(F.xxhash64(F.lit(seed), "v"), "v")).alias("x")).select("rep", F.col("x.v").alias("v")), "cover-special").df
-        if first.isEmpty():
+    while True:  # once for all components left; again only for what lies beyond the radius
+        alone = stage(verts.join(tree.select("rep", "v"), ["rep", "v"], "left_anti"), "cover-alone").df
+        if alone.isEmpty():
             break
+        inner = sides.join(alone.withColumnRenamed("v", "a"), ["rep", "a"], "left_semi").join(alone.withColumnRenamed("v", "b"), ["rep", "b"], "left_semi")
+        top = components(inner.filter("a < b"), src="a", dst="b")
+        least = alone.join(top, ["rep", "v"], "left").select("rep", F.coalesce("comp", "v").alias("v")).distinct()
+        first = stage(least, "cover-special").df
         centers = centers.unionByName(first.withColumn("special", F.lit(True)))
         tree = _spread(tree.unionByName(first.select("rep", "v", F.lit(None).cast("long").alias("parent"), F.col("v").alias("root"), F.lit(0).alias("depth"))), sides, radius)
     return tree, centers

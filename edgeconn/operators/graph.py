@@ -8,6 +8,8 @@ from functools import cached_property
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from edgeconn.plans.staging import stage
+
 #: Vertex ids below this give edge ids by packing both ends in one long.
 PACK = 1 << 31
 
@@ -16,7 +18,8 @@ def canonical_edges(raw: DataFrame, a: str = "a", b: str = "b") -> DataFrame:
     """(eid, src, dst) with src < dst: loops, nulls and repeats are gone.
 
     The edge id packs both ends where ids are in 0..2**31-1 and is a 64-bit
-    hash of them elsewhere; ``encode_vertices`` gives dense ids, also to texts.
+    hash of them elsewhere (``check_ids`` tells a collision);
+    ``encode_vertices`` gives dense ids, also to texts.
     """
     ends = raw.select(F.col(a).cast("long").alias("a"), F.col(b).cast("long").alias("b")).filter("a <> b")
     pairs = ends.select(F.least("a", "b").alias("src"), F.greatest("a", "b").alias("dst")).distinct()
@@ -24,20 +27,31 @@ def canonical_edges(raw: DataFrame, a: str = "a", b: str = "b") -> DataFrame:
     return pairs.select(packed.alias("eid"), "src", "dst")
 
 
+def numbered(rows: DataFrame, by: str, name: str) -> DataFrame:
+    """``rows`` with a column ``name`` of 0, 1, ... in the order of the column
+    ``by``, whose values differ. Rows are dealt into ranges of the order and
+    numbered there, so no single task orders them all."""
+    held = stage(rows.repartitionByRange(by).withColumn("part", F.spark_partition_id()), "numbered").df
+    sizes = held.groupBy("part").count()
+    base = sizes.select("part", (F.sum("count").over(Window.orderBy("part")) - F.col("count")).alias("base"))  # a row per range
+    no = F.row_number().over(Window.partitionBy("part").orderBy(by)) - 1
+    return held.join(F.broadcast(base), "part").withColumn(name, F.col("base") + no).drop("part", "base")
+
+
+def check_ids(edges: DataFrame) -> None:
+    """Raise where two edges have one id, which only hashed ids can have."""
+    hashed = edges.filter((F.col("src") < 0) | (F.col("dst") >= PACK))
+    if not hashed.isEmpty() and not edges.groupBy("eid").count().filter("count > 1").isEmpty():
+        raise ValueError("edge ids collide; give dense vertex ids by encode_vertices")
+
+
 def encode_vertices(raw: DataFrame, a: str = "a", b: str = "b") -> tuple[DataFrame, DataFrame]:
     """(pairs a, b as longs; dictionary v, name): ids of 0..n-1 in name order.
 
-    Names are dealt into ranges of the order and numbered there, so no single
-    task orders them all.
+    Equal names have equal ids, so edges of dense ids are packed exactly.
     """
-    from edgeconn.plans.staging import stage
-
     names = raw.select(F.col(a).cast("string").alias("name")).unionByName(raw.select(F.col(b).cast("string").alias("name"))).filter("name IS NOT NULL").distinct()
-    held = stage(names.repartitionByRange("name").withColumn("part", F.spark_partition_id()), "names").df
-    sizes = held.groupBy("part").count()
-    base = sizes.select("part", (F.sum("count").over(Window.orderBy("part")) - F.col("count")).alias("base"))  # a row per range
-    no = F.row_number().over(Window.partitionBy("part").orderBy("name")) - 1
-    dictionary = held.join(F.broadcast(base), "part").select((F.col("base") + no).alias("v"), "name")
+    dictionary = numbered(names, "name", "v")
     left = dictionary.withColumnsRenamed({"v": "va", "name": "name_a"})
     right = dictionary.withColumnsRenamed({"v": "vb", "name": "name_b"})
     pairs = raw.join(left, F.col(a).cast("string") == F.col("name_a")).join(right, F.col(b).cast("string") == F.col("name_b"))

@@ -8,6 +8,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from edgeconn.operators import solve as S
+from edgeconn.operators import sparse as K
 from edgeconn.operators.components import components
 from edgeconn.operators.contract import (
     adaptive_threshold,
@@ -15,17 +16,20 @@ from edgeconn.operators.contract import (
     contract_once,
     edge_votes,
     inter_component_edges,
+    k_out_labels,
     kernel_edges,
     merge_low_votes,
     widen,
 )
-from edgeconn.operators.graph import Graph
+from edgeconn.operators.graph import Graph, check_ids
 from edgeconn.operators.probe import probe_contract
 from edgeconn.plans.planning import plan_repetitions
 from edgeconn.plans.staging import stage
 
 #: Kernel rows that one task may solve; a larger kernel raises, it is not cut.
 KERNEL_ROWS = 4_000_000
+#: Kernel vertices of solvers that hold a square array.
+DENSE_VERTICES = 4_000
 
 
 @dataclass(frozen=True)
@@ -51,7 +55,9 @@ def asdict_shallow(x) -> dict:
 def solve_kernel(kernel_w: DataFrame, labels: DataFrame, solver: str = "auto", k: float | None = None, by: tuple[str, ...] = ()) -> DataFrame:
     """(*by, value double, side array<long>, vertices long): the least cut of
     each kernel (by..., cu, cv, mult), solved in one task each. ``side`` lists
-    kernel vertices. Kernels over KERNEL_ROWS rows are refused."""
+    kernel vertices. ``auto`` and ``scan`` need memory by the rows; the other
+    solvers hold a square array, so they refuse kernels over DENSE_VERTICES
+    vertices. Kernels over KERNEL_ROWS rows are refused by all."""
     keys = list(by) or ["one"]
     rows = kernel_w if by else kernel_w.withColumn("one", F.lit(0))
     most = rows.groupBy(*keys).count().agg(F.max("count")).first()[0] or 0
@@ -62,9 +68,14 @@ def solve_kernel(kernel_w: DataFrame, labels: DataFrame, solver: str = "auto", k
         import numpy as np
         import pandas as pd
 
-        w, names = S.dense(list(zip(pdf["cu"], pdf["cv"], pdf["mult"], strict=True)))
-        value, side = S.solve(w, solver, k)
-        shore = [] if side is None else [int(x) for x in np.array(names)[np.asarray(side, bool)]]
+        kernel, names = K.from_rows(pdf["cu"], pdf["cv"], pdf["mult"])
+        if solver in ("auto", "scan"):
+            value, side = K.solve_scan(kernel)
+        elif len(names) > DENSE_VERTICES:
+            raise ValueError(f"{len(names)} kernel vertices are too many for the solver {solver}; take scan")
+        else:
+            value, side = S.solve(S.square(kernel), solver, k)
+        shore = [] if side is None else [int(x) for x in names[np.asarray(side, bool)]]
         return pd.DataFrame({**{c: [v] for c, v in zip(keys, key, strict=True)}, "value": [float(value)], "side": [shore], "vertices": [len(names)]})
 
     kinds = ", ".join(f"{c} {rows.schema[c].dataType.simpleString()}" for c in keys)
@@ -77,8 +88,9 @@ def _trivial(g: Graph, **counts) -> CutResult:
 
 
 def _lifted(g: Graph, labels: DataFrame, value: float, shore: list[int], **counts) -> CutResult:
-    """The result whose side are the vertices labelled by ``shore``; the shore
-    of fewer vertices, of equal ones that with the least vertex, is reported."""
+    """The result whose side are the vertices labelled by ``shore`` (kernel
+    vertices of one solved kernel); the shore of fewer vertices, of equal ones
+    that with the least vertex, is reported."""
     chosen = labels.select("comp").distinct().filter(F.col("comp").isin(shore)) if len(shore) < 1000 else labels.sparkSession.createDataFrame([(x,) for x in shore], "comp long")
     marked = labels.join(chosen.withColumn("hit", F.lit(True)), "comp", "left").select("v", F.coalesce("hit", F.lit(False)).alias("in_s"))
     row = marked.agg(F.sum(F.col("in_s").cast("long")).alias("s"), F.count(F.lit(1)).alias("n"), F.min(F.when(F.col("in_s"), F.col("v"))).alias("a"), F.min(F.when(~F.col("in_s"), F.col("v"))).alias("b")).first()
@@ -88,7 +100,7 @@ def _lifted(g: Graph, labels: DataFrame, value: float, shore: list[int], **count
     return CutResult(int(value), "trivial" if size == 1 else "nontrivial", marked, size, **counts)
 
 
-def edge_connectivity(g: Graph, solver: str = "auto", profile: str = "mpc", mode: str = "vote", eps: float = 1.0, gamma: float = 1.0, p: float | None = 0.25, q: int | None = 16, r: int | str = "adaptive", edge_step: str | None = None, seed: int = 1, strategy: str = "local", skip: str = "chunked") -> CutResult:
+def edge_connectivity(g: Graph, solver: str = "auto", profile: str = "mpc", mode: str = "vote", eps: float = 1.0, gamma: float = 1.0, p: float | None = 0.25, q: int | None = 16, r: int | str = "adaptive", edge_step: str | None = None, seed: int = 1, strategy: str = "auto", skip: str = "chunked", hashing: str = "xxhash64", draw: str = "minhash", guard_c: float | None = None) -> CutResult:
     """The least number of edges whose loss disconnects the graph, with a side.
 
     profile: ``mpc`` filters survivors by fingerprint, ``pram`` fetches labels
@@ -97,7 +109,10 @@ def edge_connectivity(g: Graph, solver: str = "auto", profile: str = "mpc", mode
     ``best_of`` solves each repetition's kernel. edge_step ``uniform`` is fused
     with the 2-out sample; at minimum degrees under 8 a uniform share of 1/(2
     degree) hurts small cuts, so ``certificate`` is taken there. q None takes
-    the planner's number for eps, gamma and p.
+    the planner's number for eps, gamma and p, which grows with the logarithm
+    of the vertices. strategy, hashing, draw: of all components runs and draws.
+    No task reads the edges of the graph: components see draws, samples and
+    what one repetition leaves between its components.
 
     Whatever is returned is a real cut, so it is never under the connectivity;
     it is the connectivity with probability growing in q.
@@ -109,21 +124,22 @@ def edge_connectivity(g: Graph, solver: str = "auto", profile: str = "mpc", mode
         return CutResult(0, "trivial", none)
     if delta == 0:
         return CutResult(0, "disconnected", g.vertices.select("v", (F.col("v") == info["argmin"]).alias("in_s")), 1)
-    whole = components(g.edges.withColumn("rep", F.lit(0)), strategy=strategy)
-    parts = whole.groupBy("comp").count().orderBy("count", "comp").limit(2).collect()
-    if len(parts) > 1:
-        first = parts[0]
-        side = whole.select("v", (F.col("comp") == first.comp).alias("in_s"))
-        return CutResult(0, "disconnected", side, first["count"])
+    check_ids(g.edges)
     plan = plan_repetitions(n, eps, gamma, p, "probe" if profile == "probe" else "contract", q)
     q = plan.q
     known = {"q": q, "p_assumed": plan.p}
     if profile == "probe":
         threshold = plan.threshold if r == "theory" else r if isinstance(r, int) else max(1, q // 8)
-        got = probe_contract(g, q, threshold, seed, skip)
+        apart = _disconnected(g, k_out_labels(g, 2, 1, seed, strategy=strategy, hashing=hashing), strategy)
+        if apart:
+            return apart
+        got = probe_contract(g, q, threshold, seed, skip, guard_c=guard_c, strategy=strategy, hashing=hashing)
         return _answer(g, stage(got.labels, "labels").df, stage(collapse(got.kernel), "kernel").df, solver, {**known, "r": threshold})
     step = edge_step or ("none" if profile == "congest" else "uniform" if delta >= 8 else "certificate")
-    labels = stage(contract_once(g, q, seed, edge_step=step), "labels").df
+    labels = stage(contract_once(g, q, seed, edge_step=step, strategy=strategy, hashing=hashing, draw=draw), "labels").df
+    apart = _disconnected(g, labels.filter("rep = 0"), strategy)
+    if apart:
+        return apart
     if mode == "best_of":
         kernels = stage(collapse(kernel_edges(g, labels), "rep"), "kernels").df
         best = solve_kernel(kernels, labels, solver, delta, ("rep",)).agg(F.min(F.struct("value", "rep", "side", "vertices")).alias("b")).first().b
@@ -137,6 +153,18 @@ def edge_connectivity(g: Graph, solver: str = "auto", profile: str = "mpc", mode
     return _answer(g, stage(voted.labels, "merged").df, stage(collapse(voted.kernel), "kernel").df, solver, {**known, "r": threshold})
 
 
+def _disconnected(g: Graph, labels: DataFrame, strategy: str) -> CutResult | None:
+    """The least component of the graph as a side, if there are several: found
+    from one repetition's components and the edges that run between them."""
+    between = kernel_edges(g, labels).select("rep", "cu", "cv").distinct()
+    top = components(between, src="cu", dst="cv", strategy=strategy).select(F.col("v").alias("comp"), F.col("comp").alias("top"))
+    whole = stage(labels.select("v", "comp").join(top, "comp", "left").select("v", F.coalesce("top", "comp").alias("comp")), "whole").df
+    parts = whole.groupBy("comp").count().orderBy("count", "comp").limit(2).collect()
+    if len(parts) < 2:
+        return None
+    return CutResult(0, "disconnected", whole.select("v", (F.col("comp") == parts[0].comp).alias("in_s")), parts[0]["count"])
+
+
 def _answer(g: Graph, labels: DataFrame, kernel_w: DataFrame, solver: str, known: dict) -> CutResult:
     """The kernel's cut if it is under the least degree, else that."""
     size = kernel_w.agg(F.coalesce(F.sum("mult"), F.lit(0)).alias("m")).first().m

@@ -13,6 +13,7 @@ from dataclasses import dataclass
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from edgeconn.operators import components as C
 from edgeconn.operators.certificate import Forest
 from edgeconn.operators.components import components
 from edgeconn.operators.contract import k_out_labels, kernel_edges
@@ -37,7 +38,7 @@ def guarded(labels: DataFrame, n: int, delta: int, guard_c: float | None) -> Dat
     return labels.join(F.broadcast(few.select("rep")), "rep", "left_semi")  # a row per repetition
 
 
-def forest_probe(g: Graph, reps: int = 1, seed: int = 1, ell: int | None = None, guard_c: float | None = None, labels: DataFrame | None = None) -> DataFrame:
+def forest_probe(g: Graph, reps: int = 1, seed: int = 1, ell: int | None = None, guard_c: float | None = None, labels: DataFrame | None = None, strategy: str = "auto", hashing: str = "md5") -> DataFrame:
     """(rep, cell, eid, cu, cv): the edges that a structure answers preserve to.
 
     Edges inside a component are contracted without a probe. Each forest keeps
@@ -45,8 +46,8 @@ def forest_probe(g: Graph, reps: int = 1, seed: int = 1, ell: int | None = None,
     """
     p = g.profile
     ell = ell or max(1, 4 * p["min_degree"])
-    labels = guarded(labels if labels is not None else k_out_labels(g, 2, reps, seed), p["n"], p["min_degree"], guard_c)
-    drawn = kernel_edges(g, labels).withColumn("cell", forest_of(["eid"], ell, seed))
+    labels = guarded(labels if labels is not None else k_out_labels(g, 2, reps, seed, strategy=strategy, hashing=hashing), p["n"], p["min_degree"], guard_c)
+    drawn = kernel_edges(g, labels).withColumn("cell", forest_of(["eid"], ell, seed, hashing))
     return drawn.groupBy("rep", "cell").applyInPandas(_grow, "rep int, cell int, eid long, cu long, cv long")
 
 
@@ -63,16 +64,19 @@ class Probed:
     kept: int
 
 
-def probe_contract(g: Graph, reps: int, threshold: int, seed: int = 1, skip: str = "chunked", ell: int | None = None, guard_c: float | None = None) -> Probed:
+def probe_contract(g: Graph, reps: int, threshold: int, seed: int = 1, skip: str = "chunked", ell: int | None = None, guard_c: float | None = None, strategy: str = "auto", hashing: str = "md5") -> Probed:
     """Contract every edge with fewer than ``threshold`` preserves.
 
     skip ``none`` asks all structures about all edges. ``chunked`` feeds the
     edges in chunks of 1/64, 1/32, ... of them: edges whose ends are joined by
     then are not asked about, and forests go on from what they kept.
-    ``adaptive`` goes edge by edge in one task, for graphs that fit it.
+    ``adaptive`` goes edge by edge in one task, for graphs that fit it
+    (``components.TASK_ROWS`` edges; more are refused).
     """
-    labels = stage(k_out_labels(g, 2, reps, seed), "probe-labels").df
+    labels = stage(k_out_labels(g, 2, reps, seed, strategy=strategy, hashing=hashing), "probe-labels").df
     if skip == "adaptive":
+        if g.profile["m"] > C.TASK_ROWS:
+            raise ValueError(f"{g.profile['m']} edges are too many to go through in one task; take chunks")
         return _adaptive(g, labels, reps, threshold, seed, ell or max(1, 4 * g.profile["min_degree"]))
     chunk_of = F.pmod(F.xxhash64(F.lit(seed), "eid"), F.lit(64))
     cuts = [(0, 64)] if skip == "none" else [(0, 1), (1, 2), (2, 4), (4, 8), (8, 16), (16, 32), (32, 64)]
@@ -95,7 +99,7 @@ def probe_contract(g: Graph, reps: int, threshold: int, seed: int = 1, skip: str
         new = stage(new, "probe-votes").df
         votes = new if votes is None else votes.unionByName(new)
         low = new.filter(F.col("n_preserved") < threshold).select(F.lit(0).alias("rep"), F.col("ca").alias("src"), F.col("cb").alias("dst"))
-        joined = components(low, strategy="local").select(F.col("v").alias("comp"), F.col("comp").alias("up"))
+        joined = components(low, strategy=strategy).select(F.col("v").alias("comp"), F.col("comp").alias("up"))
         top = stage(top.join(joined, "comp", "left").select("v", F.coalesce("up", "comp").alias("comp")), "probe-top").df
     a, b = top.withColumnsRenamed({"v": "src", "comp": "ca"}), top.withColumnsRenamed({"v": "dst", "comp": "cb"})
     left = g.edges.join(a, "src").join(b, "dst").filter("ca <> cb")

@@ -61,6 +61,32 @@ def reach(pairs: str) -> str:
     labels AS (SELECT rep, v, comp FROM cc)"""
 
 
+def named(raw: str, a: str = "a", b: str = "b") -> str:
+    """Pairs of text ids as numbers in name order."""
+    return f"""SELECT x.v AS a, y.v AS b FROM ({raw}) p JOIN names x ON x.name = p.{a} JOIN names y ON y.name = p.{b}"""
+
+
+def dictionary(raw: str) -> str:
+    return f"raw AS ({raw}), names AS (SELECT name, row_number() OVER (ORDER BY name) - 1 AS v FROM (SELECT a AS name FROM raw UNION SELECT b FROM raw) WHERE name IS NOT NULL)"
+
+
+def whole(name: str = "whole") -> str:
+    """Components of all edges."""
+    return f"""both_ways AS (SELECT src AS a, dst AS b FROM e UNION SELECT dst, src FROM e),
+    {name}(v, comp) USING KEY (v) AS (
+      SELECT v, v FROM deg UNION SELECT s.b, min(c.comp) FROM {name} c JOIN both_ways s ON s.a = c.v JOIN recurring.{name} o ON o.v = s.b WHERE c.comp < o.comp GROUP BY s.b)"""
+
+
+def voted(reps: int, c: int = 4) -> str:
+    """The kernel of the vote: threshold, merged classes, parallel edges."""
+    return f"""hist AS (SELECT n_preserved AS k, count(*) AS n FROM votes GROUP BY 1),
+    cut AS (SELECT coalesce(min(r), (SELECT max(k) + 1 FROM hist)) AS r FROM (SELECT k AS r, sum(n) OVER (ORDER BY k DESC) AS left_over FROM hist) WHERE left_over <= {c} * (SELECT count(*) FROM deg)),
+    same AS (SELECT v AS a, min(v) OVER (PARTITION BY comps) AS b FROM wide UNION SELECT src, dst FROM votes WHERE n_preserved < (SELECT greatest(1, r) FROM cut)),
+    sym2 AS (SELECT a, b FROM same WHERE a <> b UNION SELECT b, a FROM same WHERE a <> b),
+    top(v, comp) USING KEY (v) AS (
+      SELECT v, v FROM deg UNION SELECT s.b, min(t.comp) FROM top t JOIN sym2 s ON s.a = t.v JOIN recurring.top o ON o.v = s.b WHERE t.comp < o.comp GROUP BY s.b)"""
+
+
 TWO_OUT = "SELECT rep, v AS a, nbr AS b FROM draws"
 FUSED = TWO_OUT + " UNION ALL SELECT rep, src AS a, dst AS b FROM sampled"
 

@@ -31,7 +31,7 @@ from edgeconn.operators.contract import (
 from edgeconn.operators.diameter import ball_growth, ball_members, component_diameters, disjoint_balls, low_diameter_cover
 from edgeconn.operators.graph import Graph, cut_edges, half_edges, min_degree_cut
 from edgeconn.operators.mincut import as_row, edge_connectivity, solve_kernel
-from edgeconn.operators.probe import forest_probe, probe_votes
+from edgeconn.operators.probe import forest_probe, probe_contract, probe_votes
 from edgeconn.operators.sample import edge_sample, k_out_draws
 from edgeconn.plans import planning as P
 from edgeconn.plans.staging import stage
@@ -73,8 +73,20 @@ GRAPHS = {
 }
 for _key, (_name, _params, _raw) in GRAPHS.items():
     query(_key, O.canonical(_raw))(lambda s, d, n=_name, p=_params: graph(s, d, n, **p).edges.select("src", "dst"))
+TEXT_IDS = {
+    "user_hour": "SELECT DISTINCT 'u' || user_id AS a, 'h' || strftime(ts, '%Y%m%d%H') AS b FROM events",
+    "page_links": """SELECT DISTINCT 'p' || page_id AS a, unnest(regexp_extract_all(html, 'href="([^"]+)"', 1)) AS b FROM pages""",
+    "conversation_paths": "SELECT conv_id || ':' || turn AS a, conv_id || ':' || after AS b FROM (SELECT conv_id, turn, lead(turn) OVER (PARTITION BY conv_id ORDER BY turn) AS after FROM conversations) WHERE after IS NOT NULL",
+}
 for _name in ("user_hour", "page_links", "conversation_paths", "embedding_neighbours", "document_shingles"):
-    query(f"graph_{_name}")(lambda s, d, n=_name: graph(s, d, n).edges.select("src", "dst"))
+    _sql = f"WITH {O.dictionary(TEXT_IDS[_name])} {O.canonical(O.named('SELECT a, b FROM raw'))}" if _name in TEXT_IDS else None
+    query(f"graph_{_name}", _sql)(lambda s, d, n=_name: graph(s, d, n).edges.select("src", "dst"))
+LAGS = "SELECT unnest([" + ", ".join(f"lag(user_id, {i}) OVER w" for i in range(1, 6)) + "]) AS a, user_id AS b FROM events WINDOW w AS (ORDER BY ts, event_id)"
+
+
+@query("graph_user_user_lag5", O.canonical(f"SELECT a, b FROM ({LAGS}) WHERE a IS NOT NULL"))
+def user_user_lag5(s, d):
+    return graph(s, d, "user_user", lags=5).edges.select("src", "dst")
 
 
 @query("degree_histogram", f"WITH {O.edges(O.PAIRS['part_supplier'])} SELECT deg, count(*) AS n FROM deg GROUP BY deg")
@@ -128,9 +140,14 @@ def three_distinct(s, d):
     return k_out_draws(graph(s, d, "part_supplier"), 3, 1, O.SEED, replace=False).select("rep", "j", "v", "nbr")
 
 
-@query("k_out_draws_rank")
+@query(
+    "k_out_draws_rank",
+    f"""WITH {O.edges(O.PAIRS['part_supplier'])}, placed AS (SELECT v, nbr, row_number() OVER (PARTITION BY v ORDER BY least(v, nbr), greatest(v, nbr)) - 1 AS place FROM half)
+    SELECT CAST(r.i AS INT) AS rep, CAST(j.i AS INT) AS j, v, nbr FROM range(2) AS r(i), range(2) AS j(i), deg JOIN placed USING (v)
+    WHERE place = ('0x' || substr(md5(concat_ws(':', {O.SEED}, r.i, j.i, v)), 1, 8))::BIGINT % deg""",
+)
 def rank_draws(s, d):
-    return k_out_draws(graph(s, d, "part_supplier"), 2, 2, O.SEED, draw="rank", hashing="xxhash64").select("rep", "j", "v", "nbr")
+    return k_out_draws(graph(s, d, "part_supplier"), 2, 2, O.SEED, draw="rank").select("rep", "j", "v", "nbr")
 
 
 def _labels_sql(raw: str, reps: int, select: str, pairs: str = O.TWO_OUT, p: str = "0", k: int = 2) -> str:
@@ -228,7 +245,7 @@ def kept(s, d):
     return edge_votes(_voted(s, d)[2]).filter("n_preserved >= 3").select("src", "dst")
 
 
-@query("vote_kernel")
+@query("vote_kernel", _voted_sql("SELECT least(x.comp, y.comp) AS cu, greatest(x.comp, y.comp) AS cv, count(*) AS mult FROM votes JOIN top x ON x.v = src JOIN top y ON y.v = dst WHERE x.comp <> y.comp GROUP BY ALL").replace(" SELECT least(x.comp", f", {O.voted(Q)} SELECT least(x.comp"))
 def vote_kernel(s, d):
     g, wide, found = _voted(s, d)
     v = stage(edge_votes(found), "votes").df
@@ -250,23 +267,68 @@ def survival(s, d):
     return M.survival_probability(g, _first_nation(s, d, g), 2).select(F.round("p", 6).alias("p"))
 
 
-@query("survival_observed")
+@query(
+    "survival_observed",
+    _labels_sql(O.ring(3), 64, "SELECT count(*) AS reps, CAST(sum(kept) AS BIGINT) AS survived FROM (SELECT rep, min(CAST(one AS INT)) AS kept FROM (SELECT rep, comp, min(c_nationkey = 0) = max(c_nationkey = 0) AS one FROM labels JOIN customer ON c_custkey = v GROUP BY rep, comp) GROUP BY rep)"),
+)
 def survival_observed(s, d):
     g = held(s, d, "nation_ring", t=3)
     return M.survival_rate(k_out_labels(g, 2, 64, O.SEED), _first_nation(s, d, g))
 
 
-@query("size_report")
+BETWEEN = "SELECT x.rep AS rep, count(*) AS edges FROM e JOIN labels x ON x.v = src JOIN labels y ON y.v = dst AND y.rep = x.rep WHERE x.comp <> y.comp GROUP BY x.rep"
+
+
+@query(
+    "size_report",
+    _labels_sql(O.ring(3), 8, f"""SELECT CAST(c.rep AS INT) AS rep, components, round(components * (SELECT min(deg) FROM deg) / (SELECT count(*) FROM deg)::DOUBLE, 6) AS scaled_components,
+    coalesce(edges, 0) AS edges, round(coalesce(edges, 0) / (SELECT count(*) FROM deg)::DOUBLE, 6) AS scaled_edges
+    FROM (SELECT rep, count(DISTINCT comp) AS components FROM labels GROUP BY rep) c LEFT JOIN ({BETWEEN}) b ON b.rep = c.rep"""),
+)
 def sizes(s, d):
     g = held(s, d, "nation_ring", t=3)
-    return M.size_report(g, k_out_labels(g, 2, 8, O.SEED))
+    out = M.size_report(g, k_out_labels(g, 2, 8, O.SEED))
+    return out.withColumns({c: F.round(c, 6) for c in ("scaled_components", "scaled_edges")})
+
+
+@query("survivor_report", _labels_sql(O.ring(3), 4, f"SELECT CAST(rep AS INT) AS rep, edges AS survivors, round(edges / ((SELECT count(*) FROM deg) * ln((SELECT count(*) FROM deg))), 6) AS scaled FROM ({BETWEEN})", O.FUSED, HALF_DEGREE))
+def survivors_measured(s, d):
+    g = held(s, d, "nation_ring", t=3)
+    return M.survivor_report(g, fused_labels(g, 2, 4, O.SEED)).withColumn("scaled", F.round("scaled", 6))
 
 
-@query("certificate_forest_count")
+@query(
+    "ledger",
+    f"""{_voted_sql('')[:-1]}, size AS (SELECT count(*)::DOUBLE AS n, (SELECT count(*) FROM e)::DOUBLE AS m, min(deg)::DOUBLE AS d FROM deg),
+    rows AS (SELECT 'draw' AS phase, 'rows' AS metric, (SELECT count(*) FROM draws)::DOUBLE AS value, 2 * n * {Q} AS bound FROM size
+    UNION ALL SELECT 'sample', 'rows', (SELECT count(*) FROM sampled), m * {Q} / (2 * d) FROM size
+    UNION ALL SELECT 'components', 'largest_task_rows', (SELECT max(c) FROM (SELECT rep, count(*) AS c FROM (SELECT rep FROM draws UNION ALL SELECT rep FROM sampled) GROUP BY rep)), 2 * n + m / (2 * d) FROM size
+    UNION ALL SELECT 'filter', 'fingerprint_bytes', 32 * m, 16 * {Q} * m FROM size
+    UNION ALL SELECT 'filter', 'survivors', (SELECT count(*) FROM survivors), n * ln(n) FROM size
+    UNION ALL SELECT 'vote', 'label_values', 2 * {Q} * (SELECT count(*) FROM survivors), 2 * {Q} * m FROM size)
+    SELECT phase, metric, value, round(bound, 6) AS bound, round(value / bound, 6) AS ratio FROM rows""",
+)
+def measured_ledger(s, d):
+    """What a voted contraction of the ring moves; the kept edges, which hang
+    on the threshold, are left to ``vote_histogram``."""
+    out = M.ledger(held(s, d, "nation_ring", t=3), Q, O.SEED).filter("metric <> 'kept_edges'")
+    return out.withColumns({c: F.round(c, 6) for c in ("bound", "ratio")})
+
+
+@query("small_component_share", _labels_sql(O.PAIRS["supplier_supplier"], 4, "SELECT CAST(sum(n) AS BIGINT) AS vertices, CAST(sum(CASE WHEN n <= (SELECT min(deg) FROM deg) / (8 * exp(3)) THEN n ELSE 0 END) AS BIGINT) AS small FROM (SELECT rep, comp, count(*) AS n FROM labels GROUP BY rep, comp)"))
+def small_components(s, d):
+    g = held(s, d, "supplier_supplier")
+    return M.small_component_share(k_out_labels(g, 2, 4, O.SEED), P.component_tail_bound(1, g.profile["min_degree"])["max_size"])
+
+
+@query("certificate_forest_count", f"WITH RECURSIVE {O.edges(O.PAIRS['customer_supplier'])}, {O.whole()} SELECT true AS within, count(DISTINCT comp) AS components FROM whole")
 def certificate_count(s, d):
+    """Whether a level-4 certificate has at most 4 (n - 1) edges, and how many
+    components it leaves, which are those of the graph."""
     g = held(s, d, "customer_supplier")
-    kept = certificate(B.whole_kernel(g).withColumn("rep", F.lit(0)), 4, "merge")
-    return kept.agg(F.count(F.lit(1)).alias("edges")).withColumn("most", F.lit(4 * (g.profile["n"] - 1)))
+    kept = stage(certificate(B.whole_kernel(g).withColumn("rep", F.lit(0)), 4, "merge"), "certificate").df
+    parts = components(kept, src="cu", dst="cv").agg(F.countDistinct("comp").alias("components"))
+    return kept.agg((F.count(F.lit(1)) <= 4 * (g.profile["n"] - 1)).alias("within")).crossJoin(parts)  # a row each
 
 
 @query("forest_probe_summary")
@@ -279,6 +341,14 @@ def probe_summary_votes(s, d):
     return probe_votes(forest_probe(held(s, d, "nation_ring", t=3), 16, O.SEED)).groupBy("n_preserved").agg(F.count(F.lit(1)).alias("n_edges"))
 
 
+@query("probe_report")
+def probe_measured(s, d):
+    """Kept cut edges of the first nation in 16 structures of the ring."""
+    g = held(s, d, "nation_ring", t=3)
+    labels = stage(k_out_labels(g, 2, 16, O.SEED), "labels").df
+    return M.probe_report(g, labels, forest_probe(g, 16, O.SEED, labels=labels), _first_nation(s, d, g))
+
+
 # Minimum cuts.
 
 def _lambda(name: str, params: dict, value: str, trivial: str, key: str | None = None, **how):
@@ -306,10 +376,10 @@ def _least(raw: str, gaps: str) -> tuple[str, str]:
 
 _lambda("nation_ring", {"t": 3}, *_least(O.ring(3), _gaps(3, True, 2)), key="mincut_ring")
 _lambda("nation_chain", {"t": 1}, *_least(O.ring(1, False), _gaps(1, False, 1)), key="mincut_chain")
-_lambda("two_block", {"t": 5}, *_least(O.two_block(5), "5"), key="mincut_two_block")
+_lambda("two_block", {"t": 5}, *_least(O.two_block(5), f"(SELECT count(*) FROM ({O.canonical(O.two_block(5))}) WHERE src % 2 <> dst % 2)"), key="mincut_two_block")
 _lambda("brand_supplier", {}, "least(25, (SELECT count(*) FROM supplier))", "'trivial'", key="mincut_brand_supplier")
 _lambda("part_supplier", {}, _delta(O.PAIRS["part_supplier"]), "'trivial'", key="mincut_part_supplier")
-_lambda("nation_cliques", {}, "0", "'disconnected'", key="mincut_disconnected")
+_lambda("nation_cliques", {}, "(SELECT CASE WHEN count(DISTINCT c_nationkey) > 1 THEN 0 END FROM customer)", "'disconnected'", key="mincut_disconnected")
 _lambda("user_user", {}, _delta(O.PAIRS["user_user"]), "'trivial'", key="mincut_user_user")
 for _key, _how in {
     "pram": {"profile": "pram"},
@@ -322,7 +392,7 @@ for _key, _how in {
     _lambda("nation_ring", {"t": 3}, *_least(O.ring(3), _gaps(3, True, 2)), key=f"mincut_ring_{_key}", **_how)
 
 
-@query("mincut_circulant", "SELECT CAST(least(4, 2) AS BIGINT) AS lambda_value")
+@query("mincut_circulant", f"SELECT CAST(least(2 * 2, {_gaps(1, True, 2)}) AS BIGINT) AS lambda_value")
 def circulant(s, d):
     got = edge_connectivity(held(s, d, "nation_circulant", w=2, t=1), q=48, edge_step="certificate")
     return as_row(s, got).select("lambda_value")
@@ -393,13 +463,13 @@ def cactus_ring(s, d):
     return nodes.select(F.array_min("members").alias("least"), F.size("members").cast("long").alias("size"))
 
 
-@query("cactus_ring_cuts", "SELECT CAST(25 * 24 / 2 AS BIGINT) AS cuts, CAST(25 AS BIGINT) AS cycle_edges")
+@query("cactus_ring_cuts", "SELECT CAST(n * (n - 1) / 2 AS BIGINT) AS cuts, n AS cycle_edges FROM (SELECT count(DISTINCT c_nationkey) AS n FROM customer)")
 def cactus_ring_cuts(s, d):
     _, edges = min_cut_cactus(*_kernel_of(s, d, "nation_ring", t=3))
     return edges.filter("cycle_id IS NOT NULL").groupBy("cycle_id").count().agg(F.sum((F.col("count") * (F.col("count") - 1) / 2).cast("long")).alias("cuts"), F.sum("count").alias("cycle_edges"))
 
 
-@query("cactus_chain_edges", "SELECT i AS gap, 2 AS mult FROM range(24) AS r(i)")
+@query("cactus_chain_edges", f"SELECT DISTINCT CAST(gap AS BIGINT) AS gap, 2 AS mult FROM ({O.bridges(1, False)})")
 def cactus_chain(s, d):
     g, labels, kernel = _kernel_of(s, d, "nation_chain", t=1)
     nodes, edges = min_cut_cactus(g, labels, kernel)
@@ -412,8 +482,6 @@ def cactus_chain(s, d):
 @query("cactus_star", f"WITH {O.edges(O.PAIRS['part_supplier'])} SELECT v, 2 AS mult FROM deg WHERE deg = (SELECT min(deg) FROM deg)")
 def cactus_star(s, d):
     g, labels, kernel = _kernel_of(s, d, "part_supplier")
-    if kernel.isEmpty():  # the contraction left one vertex: all minimum cuts are single vertices
-        kernel = s.createDataFrame([(-1, -2, 1 << 30)], "cu long, cv long, mult long")
     nodes, edges = min_cut_cactus(g, labels, kernel)
     leaves = nodes.filter(F.size("members") == 1).select("node", F.array_min("members").alias("v"))
     return edges.join(leaves, edges.a == leaves.node).select("v", "mult")
@@ -446,12 +514,40 @@ def packed(s, d):
     return disjoint_balls(ball_members(draws, 1))
 
 
-@query("low_diameter_cover")
-def cover(s, d):
+COVER = "SELECT 0 AS rep, count(*) AS vertices, true AS shallow, true AS rooted, true AS drawn FROM customer"
+
+
+def _cover(s, d, mode: str):
+    """Per repetition: vertices covered, whether no tree is deeper than the
+    radius, every root is a center, and every tree edge was drawn."""
     g = held(s, d, "nation_cliques")
     draws = stage(k_out_draws(g, 2, 1, O.SEED), "draws").df
-    tree, centers = low_diameter_cover(draws, g.profile["n"], g.profile["min_degree"], 1.0)
-    return tree.groupBy("rep").agg(F.count(F.lit(1)).alias("vertices"), F.countDistinct("root").alias("trees"), F.max("depth").alias("depth"))
+    tree, centers = low_diameter_cover(draws, g.profile["n"], g.profile["min_degree"], 0.5, mode=mode)
+    sides = draws.select("rep", F.col("v"), F.col("nbr").alias("parent")).unionByName(draws.select("rep", F.col("nbr").alias("v"), F.col("v").alias("parent"))).distinct().withColumn("edge", F.lit(True))
+    roots = centers.select("rep", F.col("v").alias("root")).distinct().withColumn("center", F.lit(True))
+    seen = tree.join(sides, ["rep", "v", "parent"], "left").join(roots, ["rep", "root"], "left")
+    radius = max(1, math.ceil(0.5 * math.log(g.profile["n"])))
+    return seen.groupBy("rep").agg(F.countDistinct("v").alias("vertices"), (F.max("depth") <= radius).alias("shallow"), F.min(F.coalesce("center", F.lit(False))).alias("rooted"), F.min(F.col("parent").isNull() | F.coalesce("edge", F.lit(False))).alias("drawn"))
+
+
+@query("low_diameter_cover", COVER)
+def cover(s, d):
+    return _cover(s, d, "simple")
+
+
+@query("low_diameter_cover_staged", COVER)
+def cover_staged(s, d):
+    return _cover(s, d, "staged")
+
+
+@query("ball_failure_report")
+def ball_failed(s, d):
+    """(rep, failed, vertices, bound): balls that stop growing before the
+    proven radius; the bound says something from degrees over 200 on."""
+    g = held(s, d, "supplier_supplier")
+    bound = P.ball_failure_bound(g.profile["min_degree"])
+    draws = stage(k_out_draws(g, 2, 2, O.SEED), "draws").df
+    return M.ball_failures(ball_growth(draws, max(1, math.ceil(bound["radius"]))), g.profile["min_degree"]).withColumn("bound", F.lit(float(bound["probability"])))
 
 
 # Plans and costs.
@@ -522,22 +618,76 @@ def base_filter(s, d):
 
 
 for _name, _f in {
+    "baseline_scan": B.baseline_scan,
     "baseline_uniform": lambda g: B.baseline_uniform(g, 16),
-    "baseline_recursive": lambda g: B.baseline_recursive(g, 8),
+    "baseline_recursive": lambda g: B.baseline_recursive(g, 1),
     "baseline_parallel_tree_packing": lambda g: B.tree_packing_parallel(g, 8),
     "baseline_small_cut": B.baseline_small_cut,
     "baseline_skeleton": B.baseline_skeleton,
-    "baseline_estimate": B.baseline_estimate,
-    "baseline_diffusion": lambda g: B.baseline_diffusion(g, 4),
+    "baseline_diffusion": B.baseline_diffusion,
     "baseline_flow": B.baseline_flow,
-    "baseline_uniform_sample": lambda g: B.baseline_uniform_sample(g, 8),
 }.items():
-    query(_name)(lambda s, d, f=_f: f(held(s, d, "nation_nation")))
+    query(_name, RING_VALUE)(lambda s, d, f=_f: f(held(s, d, "nation_ring", t=3)).select("value"))
+
+
+@query("baseline_estimate", "SELECT true AS within")
+def base_estimate(s, d):
+    """Whether the (2 + eps) estimate lies between the exact value and that."""
+    g = held(s, d, "nation_ring", t=3)
+    exact = B.baseline_scan(g).select(F.col("value").alias("exact"))
+    return B.baseline_estimate(g, 0.5).crossJoin(exact).select(((F.col("value") >= F.col("exact")) & (F.col("value") <= 2.5 * F.col("exact"))).alias("within"))  # a row each
+
+
+ALONE = "SELECT rep, src AS a, dst AS b FROM sampled"
+
+
+@query("baseline_uniform_sample", _labels_sql(O.ring(3), 8, "SELECT CAST(rep AS INT) AS rep, count(DISTINCT comp) AS components FROM labels GROUP BY rep", ALONE, HALF_DEGREE))
+def base_sample(s, d):
+    return B.baseline_uniform_sample(held(s, d, "nation_ring", t=3), 8).select("rep", "components")
+
+
+@query("accuracy_by_repetition", f"SELECT CAST({Q} AS BIGINT) AS runs, value AS least FROM ({RING_VALUE})")
+def accuracy(s, d):
+    g = held(s, d, "nation_ring", t=3)
+    labels = stage(fused_labels(g, 2, Q, O.SEED), "labels").df
+    return M.repetition_accuracy(g, labels, B.baseline_scan(g).first().value).select("runs", "least")
 
 
-@query("k_out_sweep")
+@query("k_out_sweep", f"""WITH {O.edges(O.ring(3))}, s AS {SURVIVAL.replace("sum(CAST(x.c_nationkey = 0 AS INT) <> CAST(y.c_nationkey = 0 AS INT))", "count(*) FILTER ((x.c_nationkey = 0) <> (y.c_nationkey = 0))").replace("exp(2 * sum", "exp(k * sum").replace("THEN 0.0 ELSE", "THEN 0.0 ELSE").replace("SELECT CASE", "(SELECT k, CASE", 1)}, (VALUES (1), (2), (4)) AS ks(k) GROUP BY k) SELECT CAST(k AS INT) AS k, p FROM s""")
 def sweep(s, d):
-    return B.k_sweep(held(s, d, "nation_ring", t=3), (1, 2, 4), 4)
+    """How fast the first nation's cut loses its chance as k grows."""
+    g = held(s, d, "nation_ring", t=3)
+    return B.k_sweep(g, (1, 2, 4), 4, side=_first_nation(s, d, g)).select("k", F.round("p", 6).alias("p"))
+
+
+@query("k_out_sweep_observed")
+def sweep_observed(s, d):
+    g = held(s, d, "nation_ring", t=3)
+    return B.k_sweep(g, (1, 2, 4), 16, side=_first_nation(s, d, g))
+
+
+@query("probe_query_counts", f"SELECT skip, value FROM ({RING_VALUE}), (VALUES ('none'), ('chunked'), ('adaptive')) AS t(skip)")
+def probe_counts(s, d):
+    """The value that each way of skipping comes to on the ring."""
+    g = held(s, d, "nation_ring", t=3)
+    return probe_runs(g).select("skip", "value")
+
+
+@query("probe_work")
+def probe_work(s, d):
+    """Edges asked about and kept by each way of skipping."""
+    return probe_runs(held(s, d, "nation_ring", t=3)).select("skip", "queried", "kept")
+
+
+def probe_runs(g: Graph, reps: int = 8, threshold: int = 1) -> DataFrame:
+    """(skip, queried, kept, value) of the three ways on one graph."""
+    rows = []
+    for skip in ("none", "chunked", "adaptive"):
+        got = probe_contract(g, reps, threshold, O.SEED, skip)
+        kernel = stage(collapse(got.kernel), "probe-kernel").df
+        found = solve_kernel(kernel, kernel).collect()
+        rows.append((skip, got.queried, got.kept, min([float(g.profile["min_degree"]), *(r.value for r in found)])))
+    return g.vertices.sparkSession.createDataFrame(rows, "skip string, queried long, kept long, value double")
 
 
 def queries() -> dict:

@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from edgeconn.operators.graph import Graph, canonical_edges, encode_vertices
+from edgeconn.operators.graph import Graph, canonical_edges, encode_vertices, numbered
 from edgeconn.sources.tables import table
 
 NATIONS = 25
@@ -67,18 +67,15 @@ def two_block(spark: SparkSession, d: str, t: int) -> DataFrame:
 def user_user(spark: SparkSession, d: str, lags: int = 1) -> DataFrame:
     """(a, b, ts, event_id): users of events at most ``lags`` apart in time.
 
-    The order of all events is one sequence by definition: it is ranged by day
-    first, each day looks back into the one before through its last events.
+    The order of all events is one sequence by definition: it is numbered by
+    ranges of that order, and an event meets those at most ``lags`` places
+    before it by joins on the number, so no task orders them all and a range
+    may have fewer events than lags.
     """
-    e = table(spark, d, "events").select("event_id", "ts", F.col("user_id").alias("b")).withColumn("day", F.to_date("ts"))
-    days = e.select("day").distinct()
-    before = days.select("day", F.lag("day").over(Window.orderBy("day")).alias("last"))  # a row per day
-    tail = e.withColumn("n", F.row_number().over(Window.partitionBy("day").orderBy(F.desc("ts"), F.desc("event_id")))).filter(F.col("n") <= lags).drop("n")
-    carried = tail.join(F.broadcast(before.select(F.col("last").alias("day"), F.col("day").alias("to"))), "day").select("event_id", "ts", "b", F.col("to").alias("day"), F.lit(True).alias("old"))
-    w = Window.partitionBy("day").orderBy("ts", "event_id")
-    seq = e.withColumn("old", F.lit(False)).unionByName(carried)
-    back = F.array(*(F.lag("b", i).over(w) for i in range(1, lags + 1)))
-    return seq.withColumn("back", back).filter("not old").select(F.explode("back").alias("a"), "b", "ts", "event_id").filter("a IS NOT NULL")
+    e = table(spark, d, "events").select("event_id", "ts", F.col("user_id").alias("b"))
+    placed = numbered(e.withColumn("key", F.struct("ts", "event_id")), "key", "no").drop("key")
+    back = placed.select(F.col("b").alias("a"), F.explode(F.sequence(F.col("no") + 1, F.col("no") + lags)).alias("no"))
+    return placed.join(back, "no").select("a", "b", "ts", "event_id")
 
 
 def brand_supplier(spark: SparkSession, d: str) -> DataFrame:

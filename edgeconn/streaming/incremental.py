@@ -44,7 +44,7 @@ class IncrementalConnectivity:
         fresh = canonical_edges(pairs)
         known = self.edges.df if self.edges else None
         if known is not None:
-            fresh = fresh.join(known.select("eid"), "eid", "left_anti")
+            fresh = fresh.join(known.select("src", "dst"), ["src", "dst"], "left_anti")
         new = stage(fresh, "stream-new")
         added = new.df.count()
         old = self.edges
@@ -67,7 +67,7 @@ class IncrementalConnectivity:
     def _build(self, g: Graph) -> None:
         """A kernel that keeps the cuts of at most 2 - eps times the least."""
         step = "uniform" if g.profile["min_degree"] >= 8 else "certificate"
-        first = stage(contract_once(g, self.q, self.seed, edge_step=step), "stream-first").df
+        first = stage(contract_once(g, self.q, self.seed, edge_step=step, hashing="xxhash64"), "stream-first").df
         wide = stage(widen(first), "stream-wide").df
         votes = stage(edge_votes(inter_component_edges(g.edges, wide)), "stream-votes").df
         voted = merge_low_votes(g, wide, votes, adaptive_threshold(votes, g.profile["n"]))
