@@ -2,8 +2,8 @@
 
 A staged table cuts lineage: a lost executor costs a re-read of Parquet files,
 never a rerun of the steps before. The folder is the session's
-``spark.checkpoint.dir``; only where that is unset (single-machine tests) a
-folder of our own is used.
+``spark.checkpoint.dir``; only where that is unset on a local master (tests) a
+folder of our own is used, on a cluster that is an error.
 """
 
 from __future__ import annotations
@@ -20,6 +20,8 @@ def shared_dir(spark: SparkSession) -> str:
     """The shared folder for staged tables and checkpoints of this session."""
     path = spark.conf.get("spark.checkpoint.dir", None)
     if not path:
+        if not spark.sparkContext.master.startswith("local"):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that driver and executors share")
         path = LOCAL_FALLBACK
         spark.sparkContext.setCheckpointDir(path)
     return path.rstrip("/")

@@ -9,6 +9,7 @@ kernel doesn't know, the kernel is built anew from all edges so far.
 
 from __future__ import annotations
 
+import json
 from dataclasses import dataclass, field
 
 from pyspark.sql import DataFrame, SparkSession
@@ -17,16 +18,21 @@ from pyspark.sql import functions as F
 from edgeconn.operators.contract import adaptive_threshold, collapse, contract_once, edge_votes, inter_component_edges, merge_low_votes, widen
 from edgeconn.operators.graph import Graph, canonical_edges
 from edgeconn.operators.mincut import solve_kernel
-from edgeconn.plans.staging import Staged, stage
+from edgeconn.plans.staging import Staged, new_path, stage
 
 
 @dataclass
 class IncrementalConnectivity:
     """State lives in staged tables: edges so far, labels, kernel. ``process``
     returns (batch, inserted, min_degree, value, rebuilt, touched) of a batch;
-    a batch that comes again returns the same row and changes nothing."""
+    a batch that comes again returns the same row and changes nothing.
+
+    With ``path`` a manifest of the state is written there after each batch,
+    and a new object on the same path goes on from the last one; tables that a
+    manifest names are deleted only once the next one is written."""
 
     spark: SparkSession
+    path: str | None = None
     eps: float = 0.5
     q: int = 16
     seed: int = 1
@@ -36,6 +42,32 @@ class IncrementalConnectivity:
     kernel: Staged | None = None
     built_at: float = 0.0
     log: dict[int, tuple] = field(default_factory=dict)
+    spent: list[Staged] = field(default_factory=list)
+
+    def __post_init__(self):
+        if self.path and (found := self._manifests()):
+            text = self.spark.read.text(f"{self.path}/{found[-1]}").first()[0]
+            state = json.loads(text)
+            self.edges, self.labels, self.kernel = (Staged(self.spark, p) if p else None for p in state["tables"])
+            self.built_at = state["built_at"]
+            self.log = {int(k): tuple(v) for k, v in state["log"].items()}
+
+    def _manifests(self) -> list[str]:
+        """Finished manifests, in the order they were written."""
+        root = self.spark._jvm.org.apache.hadoop.fs.Path(self.path)
+        fs = root.getFileSystem(self.spark._jsc.hadoopConfiguration())
+        if not fs.exists(root):
+            return []
+        names = sorted(s.getPath().getName() for s in fs.listStatus(root) if s.getPath().getName().startswith("manifest-"))
+        return [n for n in names if fs.exists(self.spark._jvm.org.apache.hadoop.fs.Path(f"{self.path}/{n}/_SUCCESS"))]
+
+    def _save(self) -> None:
+        if self.path:
+            tables = [x.path if x else None for x in (self.edges, self.labels, self.kernel)]
+            text = json.dumps({"tables": tables, "built_at": self.built_at, "log": self.log})
+            self.spark.createDataFrame([(text,)], "value string").coalesce(1).write.mode("overwrite").text(f"{self.path}/manifest-{len(self.log):09d}")
+        while self.spent:
+            self.spent.pop().drop()
 
     def process(self, batch: int, pairs: DataFrame) -> tuple:
         """pairs: (a, b) insertions; loops and known edges don't count."""
@@ -50,7 +82,7 @@ class IncrementalConnectivity:
         old = self.edges
         self.edges = stage(new.df if known is None else known.unionByName(new.df), "stream-edges")
         if old:
-            old.drop()
+            self.spent.append(old)
         g = Graph.of(self.edges.df, self.vertices)
         delta = g.profile["min_degree"]
         rebuilt, touched = False, added
@@ -62,6 +94,7 @@ class IncrementalConnectivity:
             self.built_at = value
         new.drop()
         self.log[batch] = (batch, added, delta, int(value), rebuilt, touched)
+        self._save()
         return self.log[batch]
 
     def _build(self, g: Graph) -> None:
@@ -85,7 +118,7 @@ class IncrementalConnectivity:
             more = joined.filter("ca <> cb").select(F.least("ca", "cb").alias("cu"), F.greatest("ca", "cb").alias("cv")).groupBy("cu", "cv").agg(F.count(F.lit(1)).alias("mult"))
             before = self.kernel
             self.kernel = stage(before.df.unionByName(more).groupBy("cu", "cv").agg(F.sum("mult").alias("mult")), "stream-kernel")
-            before.drop()
+            self.spent.append(before)
         parts = self.labels.df.select("comp").distinct().count()
         if parts < 2:
             return float(delta)
@@ -103,4 +136,5 @@ def stream_connectivity(stream: DataFrame, state: IncrementalConnectivity, sink:
         if sink is not None:
             sink.append(row)
 
-    return stream.writeStream.foreachBatch(each).trigger(availableNow=True).start()
+    place = f"{state.path}/checkpoint" if state.path else new_path(state.spark, "stream-checkpoint")
+    return stream.writeStream.option("checkpointLocation", place).foreachBatch(each).trigger(availableNow=True).start()

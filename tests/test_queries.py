@@ -16,12 +16,15 @@ from edgeconn.sources.tables import read_edges
 from edgeconn.sources.workloads import graph
 from edgeconn.streaming.windows import late_rows, windowed_edges
 
-TABLES = "region nation customer supplier part orders lineitem events documents pages".split()
+TABLES = "region nation customer supplier part orders lineitem events documents pages conversations".split()
 KEYS = [
     "graph_nation_ring", "degree_by_region_rollup", "two_out_draws", "k_out_draws_distinct", "two_out_components", "two_out_kernel_edges",
     "fused_components", "edge_votes", "survival_product", "ball_sizes", "mincut_brute_nations", "congest_cost_table", "repetition_plan",
     "join_asof_last_purchase", "join_interval_user_pairs", "join_lateral_top_neighbors", "agg_cube_region_segment", "window_rolling_7d_edges",
     "session_windows_users", "sliding_hour_edges", "udtf_components", "setop_except_low_votes", "incremental_min_degree",
+    "graph_user_user_lag5", "graph_user_hour", "graph_page_links", "graph_conversation_paths", "k_out_draws_rank", "vote_kernel", "size_report", "survivor_report",
+    "ledger", "small_component_share", "certificate_forest_count", "low_diameter_cover", "low_diameter_cover_staged", "baseline_scan", "baseline_uniform",
+    "baseline_recursive", "baseline_small_cut", "baseline_diffusion", "baseline_flow", "baseline_estimate", "baseline_uniform_sample", "k_out_sweep",
 ]
 
 
