@@ -5,6 +5,9 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+#: Edges of one repetition that a task certifies at the first level.
+PART_ROWS = 1 << 18
+
 
 class Forest:
     """Union-find over any hashable vertices, with path halving."""
@@ -72,13 +75,16 @@ def peel_certificate(pairs: list[tuple], k: int) -> list[int]:
     return sorted(kept)
 
 
-def certificate(kernel: DataFrame, k: int, strategy: str = "merge", fan_in: int = 8) -> DataFrame:
+def certificate(kernel: DataFrame, k: int, strategy: str = "merge", fan_in: int = 8, part_rows: int | None = None) -> DataFrame:
     """(rep, eid, cu, cv): at most k * (vertices - 1) edges per repetition with
     min(k, size) edges of every cut. Parallel edges have ids of their own.
 
-    ``scan`` and ``peel`` work in one task per repetition; ``merge`` certifies
-    parts of the edges everywhere, then unions of certificates, until a part
-    per repetition is left: a certificate of certificates is one of the whole.
+    ``scan`` and ``peel`` work in one task per repetition. ``merge`` counts the
+    edges and certifies parts of about ``part_rows`` (``PART_ROWS`` if not
+    given) everywhere, then unions of ``fan_in`` certificates, until a part per
+    repetition is left: a certificate of certificates is one of the whole. No
+    task holds more than about part_rows or fan_in * k * (vertices - 1) edges,
+    whichever is more, however many there are.
     """
     rows = kernel.select("rep", "eid", "cu", "cv")
     schema = "rep int, eid long, cu long, cv long"
@@ -89,9 +95,10 @@ def certificate(kernel: DataFrame, k: int, strategy: str = "merge", fan_in: int
         return pdf.iloc[method(list(zip(pdf["cu"], pdf["cv"], strict=True)), k)][["rep", "eid", "cu", "cv"]]
 
     if strategy == "merge":
-        parts = fan_in * fan_in
+        most = rows.groupBy("rep").count().agg(F.max("count")).first()[0] or 0
+        parts = -(-most // (PART_ROWS if part_rows is None else part_rows))
         while parts > 1:
             cell = F.pmod(F.xxhash64("eid"), F.lit(parts))
             rows = rows.groupBy("rep", cell.alias("cell")).applyInPandas(run, schema)
-            parts //= fan_in
+            parts = -(-parts // fan_in)
     return rows.groupBy("rep").applyInPandas(run, schema)

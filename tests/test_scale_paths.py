@@ -10,6 +10,7 @@ from edgeconn.operators import mincut as M
 from edgeconn.operators import solve as S
 from edgeconn.operators import sparse as K
 from edgeconn.operators.cactus import min_cut_cactus
+from edgeconn.operators.certificate import certificate
 from edgeconn.operators.contract import inter_component_edges, widen
 from edgeconn.operators.diameter import low_diameter_cover
 from edgeconn.operators.graph import Graph, canonical_edges, check_ids
@@ -87,6 +88,23 @@ def test_colliding_edge_ids_are_told(spark):
         check_ids(good.withColumn("eid", F.lit(5).cast("long")))
 
 
+@pytest.mark.parametrize("part_rows", [5, 40, 10**6])
+def test_certificates_of_any_number_of_parts_keep_small_cuts(spark, part_rows):
+    rng = np.random.default_rng(part_rows)
+    n, k = 8, 3
+    rows = [(r, 100 * r + i, *map(int, rng.choice(n, 2, replace=False))) for r in range(2) for i in range(70)]
+    kernel = spark.createDataFrame(rows, "rep int, eid long, cu long, cv long")
+    kept = [tuple(r) for r in certificate(kernel, k, fan_in=2, part_rows=part_rows).collect()]
+    assert set(kept) <= set(rows) and len(kept) == len(set(kept))
+    for rep in range(2):
+        of_rep = lambda some: [(a, b) for r, _, a, b in some if r == rep]  # noqa: B023, E731
+        assert len(of_rep(kept)) <= k * (n - 1)
+        for bits in range(1, 1 << (n - 1)):
+            crosses = lambda some: sum((bits >> a ^ bits >> b) & 1 for a, b in some)  # noqa: B023, E731
+            assert crosses(of_rep(kept)) >= min(k, crosses(of_rep(rows)))
+    assert certificate(kernel.filter("false"), k).count() == 0
+
+
 def test_fingerprints_differ_where_labels_do(spark):
     labels = spark.createDataFrame([(r, v, v % (r + 2)) for r in range(3) for v in range(30)], "rep int, v long, comp long")
     wide = widen(labels)
