@@ -11,8 +11,10 @@ for whole texts: unrelated texts never share one by chance, and a passage that
 many texts have brings none of them together.
 
 Whatever way a pair was found, it links only where the cosine of the real sets
-says so. A bucket hands out two pairs per member, never all of them,
-and pairs inside a component that is already known are not looked at again.
+says so. A bucket first hands out two pairs per member; then, of all its pairs
+that could be similar, those whose ends the links so far leave apart. A bucket
+of one component is done, whatever its size, and no pair of a mixed one is left
+out.
 """
 
 from __future__ import annotations
@@ -25,8 +27,8 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from edgeconn.llm.common import blocks, text_or_empty
-from edgeconn.llm.simhash import SimHash, links
-from edgeconn.operators.components import star_components
+from edgeconn.llm.simhash import SimHash, _runs, links
+from edgeconn.operators.components import components, star_components
 from edgeconn.plans.staging import stage
 
 MIX = 0x9E3779B97F4A7C15
@@ -166,10 +168,17 @@ def words_digest(text: str) -> bytes:
     return blake2b(b" ".join(text.encode("utf-8", "surrogatepass").lower().split()), digest_size=16).digest()
 
 
+def size_ratio(similarity: float) -> float:
+    """The least ratio of two sets' sizes at that cosine, which is at most the
+    ratio's root; a little less, so that rounding leaves no exact case out."""
+    return similarity**2 * (1 - 1e-9)
+
+
 def _bucket_pairs(batches: Iterator[pa.RecordBatch], similarity: float) -> Iterator[pa.RecordBatch]:
     """Of rows sorted by (key, n, k): each member with the one before it, and
-    with the least one of its bucket whose size still allows the similarity."""
-    ratio = similarity**2  # the cosine of sets is at most the root of their sizes' ratio
+    with the least one of its bucket whose size still allows the similarity.
+    What these leave apart is the business of ``_mixed_pairs``."""
+    ratio = size_ratio(similarity)
     key = lead = last = None
     for b in batches:
         out = []
@@ -187,6 +196,43 @@ def _bucket_pairs(batches: Iterator[pa.RecordBatch], similarity: float) -> Itera
             yield pa.RecordBatch.from_arrays([pa.array([min(p) for p in out], pa.binary()), pa.array([max(p) for p in out], pa.binary())], ["a", "b"])
 
 
+def _mixed_pairs(batches: Iterator[pa.RecordBatch], similarity: float, limit: int = 1 << 16) -> Iterator[pa.RecordBatch]:
+    """Of rows sorted by (key, n, k), ``c`` telling a row's component: all pairs
+    of a bucket whose sizes allow the similarity and whose components differ."""
+    import numpy as np
+
+    ratio = size_ratio(similarity)
+    for t in _runs(batches, ["key", "n", "k", "c"]):
+        key, n, k, c = (t.column(x).combine_chunks() if isinstance(t.column(x), pa.ChunkedArray) else t.column(x) for x in ("key", "n", "k", "c"))
+        key, n, c = key.to_numpy(), n.to_numpy().astype(np.float64), c.to_numpy()
+        start = np.flatnonzero(np.r_[True, key[1:] != key[:-1]])
+        end = np.r_[start[1:], len(key)]
+        mixed = np.minimum.reduceat(c, start) != np.maximum.reduceat(c, start)
+        left, right, held = [], [], 0
+        for s, e in zip(start[mixed].tolist(), end[mixed].tolist(), strict=True):
+            low = s + np.searchsorted(n[s:e], ratio * n[s:e])
+            for i in range(s + 1, e):
+                at = np.flatnonzero(c[low[i - s] : i] != c[i]) + low[i - s]
+                if len(at):
+                    left.append(at)
+                    right.append(np.full(len(at), i))
+                    held += len(at)
+                if held >= limit:
+                    yield _ordered(k, left, right)
+                    left, right, held = [], [], 0
+        if held:
+            yield _ordered(k, left, right)
+
+
+def _ordered(k: pa.Array, left: list, right: list) -> pa.RecordBatch:
+    """(a, b) with a < b of two lists of places in ``k``."""
+    import numpy as np
+
+    x, y = (k.take(pa.array(np.concatenate(p))).to_pylist() for p in (left, right))
+    pairs = [(p, q) if p < q else (q, p) for p, q in zip(x, y, strict=True)]
+    return pa.RecordBatch.from_arrays([pa.array([p for p, _ in pairs], pa.binary()), pa.array([q for _, q in pairs], pa.binary())], ["a", "b"])
+
+
 def _bitmap(ids: DataFrame, bits: int) -> bytes:
     """Which cells of ``bits`` the hashes in the column ``h`` fall into; each
     task sends one bitmap of fixed size, eight of them reach the driver."""
@@ -263,18 +309,40 @@ def verified(pairs: DataFrame, sets: DataFrame, similarity: float) -> DataFrame:
     return pairs.join(left, "a").join(right, "b").select("a", "b", "x", "y").mapInArrow(run, "a binary, b binary")
 
 
-def candidates(texts: DataFrame, s: Settings) -> DataFrame:
-    """(a, b): pairs of digests from SimHash links and from shared band keys.
-    ``texts`` has a row per different text (k, n, fp, keys)."""
-    some = texts.filter("n > 0")
-    keys = some.select(F.explode("keys").alias("key"), "n", "k")
-    bands = keys.repartition("key").sortWithinPartitions("key", "n", "k").mapInArrow(lambda b: _bucket_pairs(b, s.similarity), "a binary, b binary")
-    fps = stage(some.groupBy("fp").agg(F.min("k").alias("first")), "near-fp").df
-    near = links(fps.select("fp"), s.simhash)
+def bucket_rows(texts: DataFrame, *more: str) -> DataFrame:
+    """(key, n, k, *more) of every text with a word: its bands and the group of
+    its SimHash, in whole buckets sorted by (key, n, k)."""
+    keys = texts.filter("n > 0").select(F.explode(F.array_append("keys", F.col("near"))).alias("key"), "n", "k", *more)
+    return keys.repartition("key").sortWithinPartitions("key", "n", "k")
+
+
+def simhash_groups(texts: DataFrame, s: Settings) -> tuple[DataFrame, DataFrame]:
+    """(``texts`` with a column near, equal for all texts that SimHash links
+    reach from each other; the links themselves as pairs a, b of digests)."""
+    fps = stage(texts.filter("n > 0").groupBy("fp").agg(F.min("k").alias("first")), "near-fp").df
+    found = stage(links(fps.select("fp"), s.simhash), "near-fp-links").df
     ends = fps.withColumnsRenamed({"fp": "a", "first": "ka"}), fps.withColumnsRenamed({"fp": "b", "first": "kb"})
-    close = near.join(ends[0], "a").join(ends[1], "b").select(F.least("ka", "kb").alias("a"), F.greatest("ka", "kb").alias("b"))
-    same = some.select("fp", "k").join(fps, "fp").filter(F.col("first") != F.col("k")).select(F.col("first").alias("a"), F.col("k").alias("b"))
-    return bands.unionByName(close).unionByName(same).distinct()
+    close = found.join(ends[0], "a").join(ends[1], "b").select(F.least("ka", "kb").alias("a"), F.greatest("ka", "kb").alias("b"))
+    comps = components(found.select(F.lit(0).alias("rep"), F.xxhash64("a").alias("src"), F.xxhash64("b").alias("dst")))
+    near = texts.withColumn("h", F.xxhash64("fp")).join(comps.select(F.col("v").alias("h"), "comp"), "h", "left")
+    return near.withColumn("near", F.xxhash64(F.lit(2), F.coalesce("comp", "h"))).drop("h", "comp"), close
+
+
+def candidates(texts: DataFrame, s: Settings, close: DataFrame | None = None) -> DataFrame:
+    """(a, b): the first pairs of digests to look at, two for each text and
+    bucket, and the SimHash links. ``texts`` has a row per different text
+    (k, n, fp, keys), with near where the links ``close`` are known."""
+    if close is None:
+        texts, close = simhash_groups(texts, s)
+    first = bucket_rows(texts).mapInArrow(lambda b: _bucket_pairs(b, s.similarity), "a binary, b binary")
+    return first.unionByName(close).distinct()
+
+
+def left_apart(texts: DataFrame, comps: DataFrame, s: Settings) -> DataFrame:
+    """(a, b): all pairs of a bucket that may be similar and that the
+    components (v, comp) leave apart."""
+    placed = texts.join(comps.select(F.col("v").alias("k"), "comp"), "k", "left").withColumn("c", F.xxhash64(F.coalesce("comp", "k")))
+    return bucket_rows(placed, "c").mapInArrow(lambda b: _mixed_pairs(b, s.similarity), "a binary, b binary").distinct()
 
 
 def groups(docs: DataFrame, s: Settings | None = None, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -288,7 +356,9 @@ def groups(docs: DataFrame, s: Settings | None = None, id_col: str = "doc_id", t
     s = s or Settings()
     sig = stage(signatures(docs, s, id_col, text_col), "near-signatures").df
     texts = stage(sig.groupBy("k").agg(F.min("id").alias("first"), *(F.any_value(c).alias(c) for c in ("n", "fp", "keys"))), "near-texts").df
-    pairs = stage(candidates(texts, s), "near-pairs").df
+    texts, close = simhash_groups(texts, s)
+    texts = stage(texts, "near-texts").df
+    pairs = stage(candidates(texts, s, close), "near-pairs").df
     busy = pairs.select(F.explode(F.array("a", "b")).alias("k")).distinct()
     sets = stage(shingle_sets(docs, texts.join(busy, "k", "left_semi").select(F.col("first").alias("id")), s, id_col, text_col), "near-sets").df
     # One pair of each text first: it settles most of what a large group has.
@@ -298,7 +368,14 @@ def groups(docs: DataFrame, s: Settings | None = None, id_col: str = "doc_id", t
     a, b = comps.withColumnsRenamed({"v": "a", "comp": "ca"}), comps.withColumnsRenamed({"v": "b", "comp": "cb"})
     open_pairs = pairs.join(least, ["a", "b"], "left_anti").join(a, "a", "left").join(b, "b", "left").filter(F.coalesce("ca", "a") != F.coalesce("cb", "b")).select("a", "b")
     more = stage(verified(open_pairs, sets, s.similarity), "near-links").df
-    comps = stage(star_components(found.unionByName(more), "a", "b").withColumnsRenamed({"v": "k", "comp": "root"}), "near-comps").df
+    found = found.unionByName(more)
+    comps = stage(star_components(found, "a", "b"), "near-comps").df
+    # Then every pair of a bucket that the links leave apart and nobody has seen.
+    rest = stage(left_apart(texts, comps, s).join(pairs, ["a", "b"], "left_anti"), "near-rest").df
+    last = stage(verified(rest, sets, s.similarity), "near-links").df
+    if not last.isEmpty():
+        comps = stage(star_components(found.unionByName(last), "a", "b"), "near-comps").df
+    comps = comps.withColumnsRenamed({"v": "k", "comp": "root"})
     rooted = texts.select("k", "first").join(comps, "k", "left").withColumn("root", F.coalesce("root", "k"))
     rooted = stage(rooted, "near-roots").df
     return rooted.join(rooted.groupBy("root").agg(F.min("first").alias("component")), "root").select("k", "first", "component")

@@ -99,3 +99,30 @@ def test_signatures_are_those_of_the_definition():
     assert keys.shape == (3, 32) and len({tuple(k) for k in keys.tolist()}) == 3
     ones = sum(int(x) >> 63 for x in a[: at[1]])
     assert (N.majority(a, at[[0, 1, 3]])[0][0] >> 7) == int(2 * ones > at[1])
+
+
+def test_no_pair_of_a_mixed_bucket_is_lost(spark):
+    """Pairs of near copies that share their one bucket with texts that are
+    near none of them, and are neither neighbours in it nor near its leader."""
+    rng = random.Random(5)
+    common = [f"c{i}" for i in range(110)]
+    rows = []
+    for g in range(12):
+        t = common + [f"g{g}-{rng.randrange(10**6)}" for _ in range(100)]
+        rows += [(2 * g, " ".join(t)), (2 * g + 1, " ".join([*t, *(f"e{g}-{i}" for i in range(12))]))]
+    got = {r.component for r in N.groups(spark.createDataFrame(rows, "doc_id long, text string"), N.Settings(bands=1, rows=1)).collect()}
+    assert got == set(brute(rows).values()) == set(range(0, 24, 2))
+
+
+def test_mixed_pairs_over_batches():
+    import itertools
+
+    import pyarrow as pa
+
+    rng = random.Random(2)
+    rows = sorted((rng.randrange(6), rng.randrange(10, 30), bytes([i]), rng.randrange(3)) for i in range(120))
+    rows += [(9, 10, b"x", 1), (9, 11, b"y", 1)]
+    batches = [pa.RecordBatch.from_pylist([dict(zip("key n k c".split(), r, strict=True)) for r in rows[i : i + 7]], pa.schema([("key", pa.int64()), ("n", pa.int32()), ("k", pa.binary()), ("c", pa.int64())])) for i in range(0, len(rows), 7)]
+    got = sorted((r["a"], r["b"]) for b in N._mixed_pairs(iter(batches), 0.8, 16) for r in b.to_pylist())
+    want = sorted((min(x[2], y[2]), max(x[2], y[2])) for x, y in itertools.combinations(rows, 2) if x[0] == y[0] and x[3] != y[3] and 25 * min(x[1], y[1]) >= 16 * max(x[1], y[1]))
+    assert got == want
