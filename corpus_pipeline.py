@@ -17,34 +17,39 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 
 from edgeconn.llm import decontaminate, nearcopies, pieces, pii, toxicity
-from edgeconn.llm.common import table
+from edgeconn.llm.common import small_batches, table
 from edgeconn.plans.staging import stage
 
 
 def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that the compression-distance classifier calls toxic go."""
+    small_batches(spark)
     return toxicity.without_toxic(docs, toxicity.train(docs, table(spark, sf_dir, "labels")))
 
 
 def drop_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Of each group of near copies the document of least id stays: SimHash
     links and shared shingles find pairs, the cosine of whole sets decides."""
+    small_batches(spark)
     return nearcopies.one_of_each(docs)
 
 
 def drop_leaks(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that hold a passage of the benchmark go."""
+    small_batches(spark)
     return decontaminate.without_leaks(docs, table(spark, sf_dir, "benchmark"))
 
 
 def hide_private(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Validated numbers, dates and addresses get pseudonyms of their format."""
+    small_batches(spark)
     return pii.pseudonymise(docs, s=pii.of_session(spark), report=False)
 
 
 def to_ids(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Token ids of every document, two bytes each, with a digest of what they
     decode to."""
+    small_batches(spark)
     return pieces.encode_decode(docs, outputs=("packed", "decoded_sha256")).withColumnsRenamed({"id": "doc_id", "packed": "ids"})
 
 

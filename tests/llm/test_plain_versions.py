@@ -100,3 +100,24 @@ def test_pieces_on_odd_tables(spark):
     want = sorted((i or 0, sp.encode(t or ""), sp.decode(sp.encode(t or ""))) for i, t in rows)
     assert sorted((r.id or 0, list(r.ids), r.decoded) for r in out) == want
     assert pieces.encode_decode(df.filter("false")).count() == 0
+
+
+def test_arrow_batches_are_bounded_by_bytes(spark):
+    import pyarrow as pa
+
+    from edgeconn.llm import common
+
+    def rows(batches):
+        for b in batches:
+            yield pa.RecordBatch.from_pydict({"n": [b.num_rows]})
+
+    before = spark.conf.get(common._BATCH, None)
+    try:
+        for held, want in ((None, common.BATCH_BYTES), ("1k", 1024), ("64MB", common.BATCH_BYTES)):
+            spark.conf.unset(common._BATCH) if held is None else spark.conf.set(common._BATCH, held)
+            common.small_batches(spark)
+            assert common._bytes(spark.conf.get(common._BATCH)) == want
+        got = spark.range(3000).selectExpr("repeat('x', 10000) AS t").coalesce(1).mapInArrow(rows, "n long").collect()
+        assert sum(r.n for r in got) == 3000 and max(r.n for r in got) * 10_000 < 2 * common.BATCH_BYTES
+    finally:
+        spark.conf.unset(common._BATCH) if before is None else spark.conf.set(common._BATCH, before)
