@@ -11,10 +11,11 @@ for whole texts: unrelated texts never share one by chance, and a passage that
 many texts have brings none of them together.
 
 Whatever way a pair was found, it links only where the cosine of the real sets
-says so. A bucket first hands out two pairs per member; then, of all its pairs
-that could be similar, those whose ends the links so far leave apart. A bucket
-of one component is done, whatever its size, and no pair of a mixed one is left
-out.
+says so. A bucket first hands out two pairs per member; then all its pairs
+whose ends the links so far leave apart are looked at. A bucket of one component
+is done, whatever its size, and no pair of a mixed one is left out: its members
+are dealt into blocks with their sets, and each two blocks meet in a task, so
+that pairs are counted there and only links become rows.
 """
 
 from __future__ import annotations
@@ -50,6 +51,10 @@ class Settings:
     simhash: SimHash = SimHash(words=5, distinct=True)
 
 
+#: Texts, and bytes of their sets, of a mixed bucket that a task takes from one block.
+BLOCK_ROWS, BLOCK_SETS = 2048, 8 << 20
+
+
 def shingles(texts: list[str], k: int):
     """(hashes, text no): one 64-bit hash for each run of k words of each text,
     or of all its words where they are fewer; words are lower-cased (A-Z)."""
@@ -198,7 +203,8 @@ def _bucket_pairs(batches: Iterator[pa.RecordBatch], similarity: float) -> Itera
 
 def _mixed_pairs(batches: Iterator[pa.RecordBatch], similarity: float, limit: int = 1 << 16) -> Iterator[pa.RecordBatch]:
     """Of rows sorted by (key, n, k), ``c`` telling a row's component: all pairs
-    of a bucket whose sizes allow the similarity and whose components differ."""
+    of a bucket whose sizes allow the similarity and whose components differ.
+    ``_cell_links`` finds the links among them without making the pairs."""
     import numpy as np
 
     ratio = size_ratio(similarity)
@@ -224,6 +230,80 @@ def _mixed_pairs(batches: Iterator[pa.RecordBatch], similarity: float, limit: in
             yield _ordered(k, left, right)
 
 
+def _mixed_rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """(bucket, k, c, b, home, of): the rows of buckets of several components.
+
+    ``b`` is a row's block of the ``of`` of its bucket. The first ``home`` hold
+    the component of most members alone, which has no pair within itself."""
+    import numpy as np
+
+    for t in _runs(batches, ["key", "n", "k", "c"]):
+        key, n, c = (t.column(x).to_numpy() for x in ("key", "n", "c"))
+        start = np.flatnonzero(np.r_[True, key[1:] != key[:-1]])
+        end = np.r_[start[1:], len(key)]
+        mixed = np.minimum.reduceat(c, start) != np.maximum.reduceat(c, start)
+        rows, block, home, of = [], [], [], []
+        for s, e in zip(start[mixed].tolist(), end[mixed].tolist(), strict=True):
+            name, size = np.unique(c[s:e], return_counts=True)
+            own = c[s:e] == name[size.argmax()]
+            share = np.maximum(1 / BLOCK_ROWS, n[s:e] * (4 / BLOCK_SETS))
+            at, first = np.zeros(e - s, np.int64), 0
+            for part in (own, ~own):
+                filled = np.cumsum(share[part])
+                at[part] = first + np.unique(np.floor(filled - filled[0]), return_inverse=True)[1]
+                first = int(at[part].max()) + 1
+            rows.append(np.arange(s, e))
+            block.append(at)
+            home.append(np.full(e - s, at[own].max() + 1))
+            of.append(np.full(e - s, first))
+        if rows:
+            at = np.concatenate(rows)
+            cols = [pa.array(key[at]), t.column("k").take(pa.array(at)), pa.array(c[at]), *(pa.array(np.concatenate(x), pa.int32()) for x in (block, home, of))]
+            yield from pa.table(cols, ["bucket", "k", "c", "b", "home", "of"]).combine_chunks().to_batches(1 << 14)
+
+
+def _cells(rows: DataFrame) -> DataFrame:
+    """Rows of ``_mixed_rows`` once for each cell (x, y) of two blocks that
+    theirs meets another in; two blocks of the home component do not meet."""
+    other = F.filter(F.sequence(F.lit(0), F.col("of") - 1), lambda o: (o != F.col("b")) & (F.greatest(o, "b") >= F.col("home")))
+    met = rows.withColumn("o", F.explode(other))
+    return met.select("bucket", F.least("o", "b").alias("x"), F.greatest("o", "b").alias("y"), "b", "k", "c")
+
+
+def _cell_links(batches: Iterator[pa.RecordBatch], similarity: float) -> Iterator[pa.RecordBatch]:
+    """(a, b): of whole cells, a row's ``key`` telling its cell and ``sh`` its
+    set, a link of each text of block y to each other component that has one in
+    block x, or in y itself where x is the first block."""
+    import numpy as np
+
+    for t in _runs(batches, ["key", "bucket", "x", "y", "b", "k", "c", "sh"]):
+        bucket, x, y, b, c = (t.column(n).to_numpy() for n in ("bucket", "x", "y", "b", "c"))
+        order = np.lexsort((y, x, bucket))
+        name = np.stack([bucket, x, y])[:, order]
+        new = np.flatnonzero(np.r_[True, (name[:, 1:] != name[:, :-1]).any(0)])
+        for at in np.split(order, new[1:]):
+            last, first = b[at] == y[at[0]], x[at[0]] == 0
+            sets = [np.frombuffer(v, "<u4") for v in t.column("sh").take(pa.array(at)).to_pylist()]
+            size = np.array([len(v) for v in sets])
+            flat, owner = np.concatenate(sets), np.repeat(np.arange(len(at)), size)
+            by = np.argsort(flat, kind="stable")
+            flat, owner = flat[by], owner[by]
+            left, right = [], []
+            for i in np.flatnonzero(last).tolist():
+                lo, hi = np.searchsorted(flat, sets[i]), np.searchsorted(flat, sets[i], "right")
+                n = hi - lo
+                both = np.bincount(owner[np.repeat(hi - np.cumsum(n), n) + np.arange(n.sum())], minlength=len(at))
+                met = (c[at] != c[at[i]]) & (both / (size * float(size[i])) ** 0.5 >= similarity) & (~last | (first & (np.arange(len(at)) < i)))
+                near = np.flatnonzero(met)
+                if len(near):
+                    near = near[np.unique(c[at[near]], return_index=True)[1]]  # the components are what links are for
+                    left.append(at[near])
+                    right.append(np.full(len(near), at[i]))
+            if left:
+                k = t.column("k")
+                yield _ordered(k.combine_chunks() if isinstance(k, pa.ChunkedArray) else k, left, right)
+
+
 def _ordered(k: pa.Array, left: list, right: list) -> pa.RecordBatch:
     """(a, b) with a < b of two lists of places in ``k``."""
     import numpy as np
@@ -338,11 +418,16 @@ def candidates(texts: DataFrame, s: Settings, close: DataFrame | None = None) ->
     return first.unionByName(close).distinct()
 
 
-def left_apart(texts: DataFrame, comps: DataFrame, s: Settings) -> DataFrame:
-    """(a, b): all pairs of a bucket that may be similar and that the
-    components (v, comp) leave apart."""
+def left_apart(texts: DataFrame, comps: DataFrame, sets: DataFrame, s: Settings) -> DataFrame:
+    """(a, b): links between the components (v, comp) of texts that share a
+    bucket. Each text of a mixed bucket is met with every other of it that is
+    not in its component, on their real sets; of the links of a text to one
+    component one is given."""
     placed = texts.join(comps.select(F.col("v").alias("k"), "comp"), "k", "left").withColumn("c", F.xxhash64(F.coalesce("comp", "k")))
-    return bucket_rows(placed, "c").mapInArrow(lambda b: _mixed_pairs(b, s.similarity), "a binary, b binary").distinct()
+    mixed = bucket_rows(placed, "c").mapInArrow(_mixed_rows, "bucket long, k binary, c long, b int, home int, of int")
+    cells = _cells(stage(mixed, "near-mixed").df).join(sets, "k").withColumn("key", F.xxhash64("bucket", "x", "y"))
+    met = cells.repartition("key").sortWithinPartitions("key")
+    return met.mapInArrow(lambda b: _cell_links(b, s.similarity), "a binary, b binary").distinct()
 
 
 def groups(docs: DataFrame, s: Settings | None = None, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -370,9 +455,8 @@ def groups(docs: DataFrame, s: Settings | None = None, id_col: str = "doc_id", t
     more = stage(verified(open_pairs, sets, s.similarity), "near-links").df
     found = found.unionByName(more)
     comps = stage(star_components(found, "a", "b"), "near-comps").df
-    # Then every pair of a bucket that the links leave apart and nobody has seen.
-    rest = stage(left_apart(texts, comps, s).join(pairs, ["a", "b"], "left_anti"), "near-rest").df
-    last = stage(verified(rest, sets, s.similarity), "near-links").df
+    # Then every pair of a bucket that the links leave apart.
+    last = stage(left_apart(texts, comps, sets, s), "near-links").df
     if not last.isEmpty():
         comps = stage(star_components(found.unionByName(last), "a", "b"), "near-comps").df
     comps = comps.withColumnsRenamed({"v": "k", "comp": "root"})

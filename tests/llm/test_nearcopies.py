@@ -126,3 +126,41 @@ def test_mixed_pairs_over_batches():
     got = sorted((r["a"], r["b"]) for b in N._mixed_pairs(iter(batches), 0.8, 16) for r in b.to_pylist())
     want = sorted((min(x[2], y[2]), max(x[2], y[2])) for x, y in itertools.combinations(rows, 2) if x[0] == y[0] and x[3] != y[3] and 25 * min(x[1], y[1]) >= 16 * max(x[1], y[1]))
     assert got == want
+
+
+def test_links_of_a_mixed_bucket_without_its_pairs(spark, monkeypatch):
+    """A bucket of a large component and many texts outside of it: rows by the
+    members, whatever the blocks, and a link wherever some pair has one."""
+    import struct
+
+    import pyarrow as pa
+
+    rng = random.Random(9)
+    rows, sets = [], {}
+    for i in range(160):
+        k, c = bytes([i]), 1 if i < 110 else 2 + i // 4
+        own = rng.sample(range(100), 80) if i % 10 else list(range(i % 20, 100))
+        sets[k] = b"".join(struct.pack("<I", x) for x in sorted(own))
+        rows.append((7 if i < 150 else 8, len(own), k, c))
+    rows.sort()
+    monkeypatch.setattr(N, "BLOCK_ROWS", 1000)
+    schema = pa.schema([("key", pa.int64()), ("n", pa.int32()), ("k", pa.binary()), ("c", pa.int64())])
+    batch = pa.RecordBatch.from_pylist([dict(zip("key n k c".split(), r, strict=True)) for r in rows], schema)
+    assert sum(b.num_rows for b in N._mixed_rows(iter([batch]))) == len(rows)
+    of = {r[2]: r[3] for r in rows}
+    close = lambda p: N.similarity_of(sets[p["a"]], sets[p["b"]]) >= 0.8
+    want = {frozenset([of[p["a"]], of[p["b"]]]) for b in N._mixed_pairs(iter([batch]), 0.8) for p in b.to_pylist() if close(p)}
+    assert len(want) > 5
+    for size in (1000, 7):
+        monkeypatch.setattr(N, "BLOCK_ROWS", size)
+        mixed = [tuple(r.values()) for b in N._mixed_rows(iter([batch])) for r in b.to_pylist()]
+        cells = N._cells(spark.createDataFrame(mixed, "bucket long, k binary, c long, b int, home int, of int")).collect()
+        if size == 1000:
+            assert len(cells) == len(rows)
+        met = [{"key": hash((r.bucket, r.x, r.y)) % 5, **r.asDict(), "sh": sets[bytes(r.k)]} for r in cells]  # cells that share a hash stay apart
+        met.sort(key=lambda r: r["key"])
+        kinds = pa.schema([("key", pa.int64()), ("bucket", pa.int64()), ("x", pa.int32()), ("y", pa.int32()), ("b", pa.int32()), ("k", pa.binary()), ("c", pa.int64()), ("sh", pa.binary())])
+        batches = [pa.RecordBatch.from_pylist(met[i : i + 50], kinds) for i in range(0, len(met), 50)]
+        found = [p for b in N._cell_links(iter(batches), 0.8) for p in b.to_pylist()]
+        assert all(close(p) for p in found)
+        assert {frozenset([of[p["a"]], of[p["b"]]]) for p in found} == want
