@@ -59,3 +59,13 @@ def test_contracted_keeps_the_cut(spark, monkeypatch):
     assert sorted(map(tuple, kernel.collect())) == [(0, 40, 3), (0, 120, 3), (40, 80, 3), (80, 120, 3)]
     monkeypatch.setattr(B, "KERNEL_ROWS", 500)
     assert B.contracted(g) is None
+
+
+def test_estimate_reads_the_edges_once(spark, monkeypatch):
+    import edgeconn.queries as Q
+
+    levels = []
+    monkeypatch.setattr(B, "KERNEL_ROWS", 40_000)
+    monkeypatch.setattr(B, "certificate", lambda kernel, k, how: levels.append(k) or C.certificate(kernel, k, how))
+    assert Q.queries()["baseline_estimate"](spark, "/root/testdata/sf0.01").first().within
+    assert levels == [20]
