@@ -68,3 +68,18 @@ def test_two_cells_meet_once(spark, small, monkeypatch):
     assert "<" in join and "<=" not in join and "OR" in join
     rows = list(map(tuple, made.collect()))
     assert len(rows) == len({tuple(sorted(r)) for r in rows}) == want
+
+
+def test_few_passes_where_forests_join_little(monkeypatch):
+    """Sparse graphs, of which forests contract little, go on to orders at once,
+    and edges that stay open are taken in parts that double."""
+    rng, thin, takes = np.random.default_rng(4), [], []
+    real, take = K.thinned, Forests._take
+    monkeypatch.setattr(K, "thinned", lambda k, bound: thin.append(k[0]) or real(k, bound))
+    monkeypatch.setattr(Forests, "_take", lambda self, x, y, places: takes.append(len(places)) or take(self, x, y, places))
+    u, v = rng.integers(0, 800, (2, 30_000))
+    Forests(3).kept(u % 7 * 100, v)
+    assert len(takes) <= 7
+    kernel = K.merged(800, np.r_[np.arange(800), u[:900]], np.r_[(np.arange(800) + 1) % 800, v[:900]], np.ones(1700))
+    value, side = K.solve_scan(kernel)
+    assert len(thin) <= 10 and value == (side[kernel[1]] != side[kernel[2]]) @ kernel[3] == K.degrees(kernel).min()
