@@ -18,7 +18,7 @@ def in_blocks(spark, monkeypatch):
     monkeypatch.setattr(W, "CELL", 17)
     monkeypatch.setattr(B, "KERNEL_ROWS", 40_000)
     monkeypatch.setattr(B, "certificate", None)
-    monkeypatch.setattr(X, "edges_of", lambda blocks: spark.createDataFrame([], "src long, dst long"))
+    monkeypatch.setattr(X, "edges_of", lambda blocks: blocks.sparkSession.createDataFrame([], "src long, dst long"))
 
 
 def same_as_sql(spark, key):
@@ -77,7 +77,7 @@ def test_table_drops_what_forests_drop():
     assert sum(sizes) == 3 * 39 and len(with_table.ties()[0]) == 39 == len(set(plain(40, a, b, 3))) + 38
 
 
-@pytest.mark.parametrize("key", ["baseline_scan"])
+@pytest.mark.parametrize("key", ["baseline_scan", "baseline_uniform"])
 def test_queries_on_blocks(spark, monkeypatch, key):
     in_blocks(spark, monkeypatch)
     same_as_sql(spark, key)
