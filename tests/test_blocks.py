@@ -77,7 +77,10 @@ def test_table_drops_what_forests_drop():
     assert sum(sizes) == 3 * 39 and len(with_table.ties()[0]) == 39 == len(set(plain(40, a, b, 3))) + 38
 
 
-@pytest.mark.parametrize("key", ["baseline_scan", "baseline_uniform"])
+KEYS = ["baseline_scan", "baseline_uniform", "baseline_flow"]
+
+
+@pytest.mark.parametrize("key", KEYS)
 def test_queries_on_blocks(spark, monkeypatch, key):
     in_blocks(spark, monkeypatch)
     same_as_sql(spark, key)
