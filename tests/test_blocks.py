@@ -77,7 +77,7 @@ def test_table_drops_what_forests_drop():
     assert sum(sizes) == 3 * 39 and len(with_table.ties()[0]) == 39 == len(set(plain(40, a, b, 3))) + 38
 
 
-KEYS = ["baseline_scan", "baseline_uniform", "baseline_flow", "baseline_tree_packing", "baseline_estimate", "baseline_recursive", "baseline_filtering", "cactus_ring_nodes"]
+KEYS = ["baseline_scan", "baseline_uniform", "baseline_flow", "baseline_tree_packing", "baseline_estimate", "baseline_recursive", "baseline_filtering", "cactus_ring_nodes", "baseline_small_cut", "cactus_chain_edges", "baseline_parallel_tree_packing", "baseline_diffusion"]
 
 
 @pytest.mark.parametrize("key", KEYS)
